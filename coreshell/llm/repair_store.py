@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 from coreshell.llm.shared import id_and_text, plain, shared_dir, slices, stored
 
 SHARD_IDS = 1 << 20
+#: Pairs are counted in two to this power hashed bins.
 BIN_BITS = 18
 SCHEMA = "part int, seq int, n_docs long, n_ids long, ids_before long, doc_ids binary, no_id binary, doc_lens binary, rules binary, rule_lens binary, low binary, high binary"
 #: Words that a worker remembers at most.
@@ -45,41 +46,39 @@ def compress(ids: np.ndarray, first_rule: int, barrier: int = 0, rounds: int = 3
     ``barrier`` (the end of a document) is never replaced, so no rule crosses documents. Overlapping occurrences are
     taken from the left. Rules of later rounds may use those of earlier ones.
     """
-    symbols, rules, made = ids.astype(np.int64), [], 0
+    symbols, rules, made, size = ids.astype(np.uint32), [], 0, 1 << BIN_BITS
     for _ in range(rounds):
         if len(symbols) < 2 * least:
             break
-        keys = (symbols[:-1] << 24) | symbols[1:]
-        bins = (keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BIN_BITS)
-        bins = bins.astype(np.int64)
-        seen = np.bincount(bins, minlength=1 << BIN_BITS)
-        floor = max(least, int(np.partition(seen, len(seen) - per_round)[len(seen) - per_round]))
+        bins = (symbols[:-1] * np.uint32(0x9E3779B1) + symbols[1:] * np.uint32(0x85EBCA77)) >> np.uint32(32 - BIN_BITS)
+        seen = np.bincount(bins, minlength=size)
+        floor = max(least, int(np.partition(seen, size - per_round)[size - per_round]))
         at = np.flatnonzero((seen >= floor)[bins])
-        at = at[(symbols[at] != barrier) & (symbols[at + 1] != barrier)]
-        found, bins = keys[at], bins[at]
-        pair = np.full(1 << BIN_BITS, -1, np.int64)
-        pair[bins] = found
-        hit = pair[bins] == found
+        bins, one, two = bins[at], symbols[at], symbols[at + 1]
+        left, right = np.full(size, barrier, np.uint32), np.full(size, barrier, np.uint32)
+        left[bins], right[bins] = one, two
+        hit = (left[bins] == one) & (right[bins] == two) & (one != barrier) & (two != barrier)
         at, bins = at[hit], bins[hit]
-        slot = np.full(1 << BIN_BITS, -1, np.int64)
-        chosen = np.flatnonzero(np.bincount(bins, minlength=1 << BIN_BITS) >= least)[: (1 << 24) - first_rule - made]
+        chosen = np.flatnonzero(np.bincount(bins, minlength=size) >= least)[: (1 << 24) - first_rule - made]
         if not len(chosen):
             break
-        slot[chosen] = np.arange(len(chosen))
+        slot = np.full(size, -1, np.int32)
+        slot[chosen] = np.arange(len(chosen), dtype=np.int32)
         which = slot[bins]
-        at, which = at[which >= 0], which[which >= 0]
+        if (which < 0).any():
+            at, which = at[which >= 0], which[which >= 0]
         # neighbouring hits share a symbol: of each run take the first, third, ...
-        fresh = np.r_[True, np.diff(at) > 1]
+        start = np.flatnonzero(np.r_[True, np.diff(at) > 1])
         index = np.arange(len(at))
-        take = ((index - np.maximum.accumulate(np.where(fresh, index, 0))) & 1) == 0
+        take = ((index - np.repeat(start, np.diff(np.r_[start, len(at)]))) & 1) == 0
         at, which = at[take], which[take]
-        symbols[at] = first_rule + made + which
+        symbols[at] = (first_rule + made + which).astype(np.uint32)
         keep = np.ones(len(symbols), bool)
         keep[at + 1] = False
         symbols = symbols[keep]
-        rules.append(np.stack([pair[chosen] >> 24, pair[chosen] & 0xFFFFFF], 1))
+        rules.append(np.stack([left[chosen], right[chosen]], 1).astype(np.int64))
         made += len(chosen)
-    return symbols, (np.concatenate(rules) if rules else np.zeros((0, 2), np.int64))
+    return symbols.astype(np.int64), (np.concatenate(rules) if rules else np.zeros((0, 2), np.int64))
 
 
 def expansions(rules: np.ndarray, first_rule: int) -> tuple[np.ndarray, np.ndarray]:
@@ -147,14 +146,14 @@ class Encoder:
         return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _learn(self, words: list[str]) -> None:
-        """Put the ids of words not yet known into the pool, each with the space before it."""
+        """Put the ids of words not yet known into the pool: each with the space before it, or with its own line break."""
         inner = [w for w in words if w and w.strip() == w]
         odd = [w for w in words if not w or w.strip() != w]
         ids = [np.concatenate([*self._encode([" " + " ".join(inner[a : a + 2000]) for a in range(0, len(inner), 2000)]), np.zeros(0, np.uint32)])]
         wide = pc.binary_length(pa.array(inner, pa.string())).to_numpy(zero_copy_only=False).astype(np.int64) + 1
         sizes = np.diff(np.r_[0, np.searchsorted(np.cumsum(self.width[ids[0]]), np.cumsum(wide)) + 1])
         if odd:
-            more = self._encode([" " + w for w in odd])
+            more = self._encode([w if w[:1] == "\n" else " " + w for w in odd])
             ids += more
             sizes = np.r_[sizes, [len(x) for x in more]]
         n, ids = len(self.known), np.concatenate(ids)
@@ -170,9 +169,11 @@ class Encoder:
 
     def _places(self, words: list[str]) -> np.ndarray:
         places = list(map(self.known.get, words))
-        if None in places:
-            self._learn([w for w, x in zip(words, places, strict=True) if x is None])
-            places = list(map(self.known.get, words))
+        lack = [i for i, x in enumerate(places) if x is None]
+        if lack:
+            self._learn([words[i] for i in lack])
+            for i in lack:
+                places[i] = self.known[words[i]]
         return np.array(places, np.int64)
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -185,7 +186,8 @@ class Encoder:
             cut = ~pc.match_substring_regex(texts, SPACES).to_numpy(zero_copy_only=False)
         lens = np.zeros(len(texts), np.int64)
         whole = {int(i): x for i, x in zip(np.flatnonzero(~cut), self._encode(texts.filter(pa.array(~cut)).to_pylist()), strict=True)}
-        lists = pc.split_pattern(texts.filter(pa.array(cut)), " ")
+        # a line break that stands alone is an id of its own, so texts may be cut before it too
+        lists = pc.split_pattern(pc.replace_substring(texts.filter(pa.array(cut)), "\n", " \n"), " ")
         offsets = lists.offsets.to_numpy().astype(np.int64)
         coded = lists.flatten().dictionary_encode()
         first = np.zeros(len(coded), bool)
@@ -195,7 +197,7 @@ class Encoder:
         openings = self._encode([words[i] for i in heads])
         place = self._places(words)[codes]
         size, begin = self.size[place], self.begin[place]
-        # a text's first word has no space before it; these words are behind the pool for now
+        # a text's first word has nothing before it; these words are behind the pool for now
         own = np.fromiter((len(x) for x in openings), np.int64, len(openings))
         size[first], begin[first] = own[slot], (self.used + np.cumsum(own) - own)[slot]
         flat = np.concatenate([self.pool[: self.used], *openings])
@@ -255,7 +257,7 @@ def write_ids(docs: DataFrame, vocabulary: str, end_id: int = 0, shard_ids: int
             held.clear()
             return pa.record_batch([pa.array([x], t) for x, t in zip(row, [pa.int32()] * 2 + [pa.int64()] * 3 + [pa.binary()] * 7, strict=True)], names=[c.split()[0] for c in SCHEMA.split(", ")])
 
-        for batch in slices(batches, most=shard_ids * 2):
+        for batch in slices(batches, most=8 * shard_ids):
             ids, lens = encoder(vocabulary).encode(batch.column(1))
             gone = pc.is_null(batch.column(0)).to_numpy(zero_copy_only=False).astype(np.uint8)
             held.append((pc.fill_null(batch.column(0), 0).to_numpy(zero_copy_only=False).astype("<i8"), gone, lens + 1, ended(ids, lens, end_id)))
