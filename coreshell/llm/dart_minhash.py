@@ -192,8 +192,9 @@ def near_duplicates(docs: DataFrame, least: float = LIKENESS) -> DataFrame:
         found = nodes.select("high", "low", F.col("node").alias("class_id"), "n")
     else:
         found = nodes.join(labels.withColumnRenamed("node", "at"), nodes["node"] == F.col("at"), "left").select("high", "low", F.coalesce("label", nodes["node"]).alias("class_id"), "n")
-    sizes = found.groupBy("class_id").agg(F.sum("n").alias("class_size"))
-    found = stored(found.join(sizes, found["class_id"].eqNullSafe(sizes["class_id"])).select("high", "low", found["class_id"], "class_size"), "classes")
+    found = stored(found, "classes")
+    sizes = found.groupBy(F.col("class_id").alias("of")).agg(F.sum("n").alias("class_size"))
+    found = found.join(sizes, F.col("class_id").eqNullSafe(F.col("of"))).select("high", "low", "class_id", "class_size")
     return rows.select("doc_id", "high", "low").join(found, ["high", "low"]).select("doc_id", "class_id", "class_size")
 
 
@@ -238,3 +239,13 @@ def _joined(docs: DataFrame, members: DataFrame, least: float) -> DataFrame | No
         used = hubs.withColumnRenamed("hub", "node").select("band", "hash", "node")
         unused = stored(unused.join(used, ["band", "hash", "node"], "left_anti"), "unused")
         salts *= 8
+
+
+def without_near_duplicates(docs: DataFrame, least: float = LIKENESS) -> DataFrame:
+    """The rows of ``docs`` whose doc_id is its class's, with their columns: one document of each class.
+
+    Rows of equal doc_id stay together; a row without doc_id stays where all of its class lack one.
+    """
+    classes = near_duplicates(docs, least)
+    kept = classes.where("class_id is null or doc_id = class_id").select(F.col("doc_id").alias("__kept")).distinct()
+    return docs.join(kept, docs["doc_id"].cast("long").eqNullSafe(F.col("__kept")), "left_semi")

@@ -16,7 +16,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, over_slices, plain
+from coreshell.llm.shared import id_and_text, over_slices, plain, slices
 
 ENDS = r"[.!?\n]+"
 _edges = regex.compile(r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$")
@@ -186,3 +186,20 @@ def offending_sentences(docs: DataFrame, model: Model, least: float = 0.5) -> Da
         return pa.record_batch([pa.array(list(c), t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 4, [pa.int64(), pa.int64(), pa.float64(), pa.string()], strict=True)], names=names)
 
     return over_slices(id_and_text(docs), kernel, "doc_id long, sentence long, score double, text string")
+
+
+def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:
+    """The rows of ``docs`` that the model scores below ``threshold``, with their columns; a row without doc_id stays or goes by its text too."""
+
+    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
+        doc, x = _sentence_scores(pc.fill_null(batch.column(where), ""), model)
+        p = 1 - np.exp(-np.bincount(doc, weights=np.logaddexp(0, x), minlength=batch.num_rows))
+        return batch.filter(pa.array(p < threshold))
+
+    where = docs.columns.index("text")
+
+    def run(batches):
+        for part in slices(batches, column=where):
+            yield kernel(part)
+
+    return docs.mapInArrow(run, docs.schema)
