@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 
-from coreshell.llm.shared import id_and_text, over_slices, word_codes
+from coreshell.llm.shared import id_and_text, over_slices, strings, word_codes
 
 #: Words whose counts a worker remembers at most; beyond it the memory starts anew.
 REMEMBERED = 400_000
@@ -121,7 +121,7 @@ def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048) -> DataFra
         texts = batch.column(1)
         merges = counter(vocabulary)
         where, codes, words = word_codes(texts)
-        each = np.fromiter((merges.word(w) for w in words.to_pylist()), np.int64, len(words))
+        each = np.fromiter((merges.word(w) for w in strings(words)), np.int64, len(words))
         n = np.bincount(where, weights=each[codes], minlength=len(texts)).astype(np.int64)
         # separators that only Arrow takes for white space
         for i in np.flatnonzero(pc.match_substring_regex(texts, "[\x1c-\x1f]").to_numpy(zero_copy_only=False)):

@@ -17,7 +17,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, slices, stored, word_codes
+from coreshell.llm.shared import id_and_text, slices, stored, strings, word_codes
 
 LEAST_SHARE = 2e-5
 PRIOR = 50.0
@@ -28,7 +28,7 @@ CHUNK_WORDS = 1 << 22
 def _hashed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(document position, hash) of each lower-case word."""
     where, codes, words = word_codes(texts)
-    each = np.fromiter((xxhash.xxh3_64_intdigest(w.lower()) for w in words.to_pylist()), np.uint64, len(words)).view(np.int64)
+    each = np.fromiter((xxhash.xxh3_64_intdigest(w.lower()) for w in strings(words)), np.uint64, len(words)).view(np.int64)
     return where, each[codes]
 
 

@@ -16,6 +16,7 @@ from __future__ import annotations
 import json
 import os
 import zlib
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -24,9 +25,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, plain, shared_dir, slices, stored
+from coreshell.llm.shared import id_and_text, plain, shared_dir, slices, stored, strings
 
 SHARD_IDS = 1 << 20
+#: Bytes of text whose distinct words are encoded together.
+ENCODED_BYTES = 24 << 20
 #: Pairs are counted in two to this power hashed bins.
 BIN_BITS = 18
 SCHEMA = "part int, seq int, n_docs long, n_ids long, ids_before long, doc_ids binary, no_id binary, doc_lens binary, rules binary, rule_lens binary, low binary, high binary"
@@ -81,32 +84,40 @@ def compress(ids: np.ndarray, first_rule: int, barrier: int = 0, rounds: int = 3
     return symbols.astype(np.int64), (np.concatenate(rules) if rules else np.zeros((0, 2), np.int64))
 
 
+def gathered(pool: np.ndarray, begin: np.ndarray, size: np.ndarray, block: int = 1 << 16) -> np.ndarray:
+    """The stretches of ``pool`` from ``begin`` of ``size`` laid end to end, in blocks that stay in the processor's cache."""
+    ends = np.cumsum(size)
+    out = np.empty(int(ends[-1]) if len(ends) else 0, pool.dtype)
+    for i in range(0, len(size), block):
+        n, e = size[i : i + block], ends[i : i + block]
+        first = int(e[0] - n[0])
+        at = np.repeat(begin[i : i + block] - e + n + first, n)
+        at += np.arange(len(at))
+        out[first : first + len(at)] = pool[at]
+    return out
+
+
 def expansions(rules: np.ndarray, first_rule: int) -> tuple[np.ndarray, np.ndarray]:
     """(lengths, flat ids) of all rules' expansions, in order of the rules."""
-    lens, flat = np.ones(len(rules), np.int64), []
-    for i, (a, b) in enumerate(rules.tolist()):
-        both = [flat[x - first_rule] if x >= first_rule else (x,) for x in (a, b)]
-        flat.append(both[0] + both[1])
-        lens[i] = len(flat[-1])
-    return lens, np.fromiter((x for f in flat for x in f), np.uint32, int(lens.sum()))
+    flat, owner = rules.ravel(), np.repeat(np.arange(len(rules)), 2)
+    while (of_rule := flat >= first_rule).any():
+        pairs = rules[flat[of_rule] - first_rule]
+        size = np.where(of_rule, 2, 1)
+        first = np.cumsum(size) - size
+        grown = np.repeat(flat, size)
+        grown[first[of_rule]], grown[first[of_rule] + 1] = pairs[:, 0], pairs[:, 1]
+        flat, owner = grown, np.repeat(owner, size)
+    return np.bincount(owner, minlength=len(rules)), flat.astype(np.uint32)
 
 
 def expand(symbols: np.ndarray, rules: np.ndarray, first_rule: int) -> np.ndarray:
     """The ids that ``symbols`` stand for."""
     lens, flat = expansions(rules, first_rule)
-    is_rule = symbols >= first_rule
-    # terminals have a place of their own behind the rules' ids
-    own, back = np.unique(symbols[~is_rule], return_inverse=True)
-    pool = np.concatenate([flat, own.astype(np.uint32)])
-    begin = np.empty(len(symbols), np.int64)
-    size = np.ones(len(symbols), np.int64)
-    rule = symbols[is_rule] - first_rule
-    begin[is_rule] = (np.cumsum(lens) - lens)[rule]
-    size[is_rule] = lens[rule]
-    begin[~is_rule] = len(flat) + back
-    ends = np.cumsum(size)
-    at = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(begin - ends + size, size)
-    return pool[at]
+    # a pool that begins with all plain ids, so that each symbol has a stretch of it
+    pool = np.concatenate([np.arange(first_rule, dtype=np.uint32), flat])
+    begin = np.r_[np.arange(first_rule), first_rule + np.cumsum(lens) - lens]
+    size = np.r_[np.ones(first_rule, np.int64), lens]
+    return gathered(pool, begin[symbols], size[symbols])
 
 
 # --- encoding --------------------------------------------------------------
@@ -176,46 +187,48 @@ class Encoder:
                 places[i] = self.known[words[i]]
         return np.array(places, np.int64)
 
-    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all texts in a row, ids in each text)."""
+    def encode(self, texts: pa.Array, end_id: int | None = None, most: int = SHARD_IDS) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+        """(first text, text after the last, their ids in a row, ids in each) of groups of about ``most`` ids; ``end_id`` is put behind each text."""
         texts = plain(texts)
         if len(self.known) > REMEMBERED:
             self._forget()
         cut = np.zeros(len(texts), bool)
         if self.cuttable:
             cut = ~pc.match_substring_regex(texts, SPACES).to_numpy(zero_copy_only=False)
-        lens = np.zeros(len(texts), np.int64)
-        whole = {int(i): x for i, x in zip(np.flatnonzero(~cut), self._encode(texts.filter(pa.array(~cut)).to_pylist()), strict=True)}
+        whole = self._encode(texts.filter(pa.array(~cut)).to_pylist())
         # a line break that stands alone is an id of its own, so texts may be cut before it too
         lists = pc.split_pattern(pc.replace_substring(texts.filter(pa.array(cut)), "\n", " \n"), " ")
         offsets = lists.offsets.to_numpy().astype(np.int64)
         coded = lists.flatten().dictionary_encode()
         first = np.zeros(len(coded), bool)
         first[offsets[:-1][np.diff(offsets) > 0]] = True
-        words, codes = coded.dictionary.to_pylist(), coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        words, codes = strings(coded.dictionary), coded.indices.to_numpy(zero_copy_only=False)
         heads, slot = np.unique(codes[first], return_inverse=True)
-        openings = self._encode([words[i] for i in heads])
+        # ids that aren't of a word behind a space stand behind the pool: first words of texts, whole texts, the end
+        extra = [*self._encode([words[i] for i in heads]), *whole, np.array([] if end_id is None else [end_id], np.uint32)]
         place = self._places(words)[codes]
         size, begin = self.size[place], self.begin[place]
-        # a text's first word has nothing before it; these words are behind the pool for now
-        own = np.fromiter((len(x) for x in openings), np.int64, len(openings))
-        size[first], begin[first] = own[slot], (self.used + np.cumsum(own) - own)[slot]
-        flat = np.concatenate([self.pool[: self.used], *openings])
-        ends = np.cumsum(size)
-        joined = flat[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(begin - ends + size, size)]
-        bound = np.r_[0, ends][offsets]
-        lens[cut] = np.diff(bound)
-        if not whole:
-            return joined, lens
-        out, k = [], 0
-        for i in range(len(texts)):
-            if i in whole:
-                out.append(whole[i])
-                lens[i] = len(whole[i])
-            else:
-                out.append(joined[bound[k] : bound[k + 1]])
-                k += 1
-        return np.concatenate(out), lens
+        own = np.fromiter((len(x) for x in extra), np.int64, len(extra))
+        at = self.used + np.cumsum(own) - own
+        size[first], begin[first] = own[slot], at[slot]
+        pool = np.concatenate([self.pool[: self.used], *extra])
+        n = len(heads)
+        if whole:
+            where = offsets[np.cumsum(cut)[~cut]]
+            size, begin = np.insert(size, where, own[n:-1]), np.insert(begin, where, at[n:-1])
+        words_in = np.ones(len(texts), np.int64)
+        words_in[cut] = np.diff(offsets)
+        ends = np.cumsum(words_in)
+        if end_id is not None:
+            size, begin = np.insert(size, ends, own[-1]), np.insert(begin, ends, at[-1])
+            ends += np.arange(1, len(ends) + 1)
+        lens = np.diff(np.r_[0, np.r_[0, np.cumsum(size)][ends]])
+        group = (np.cumsum(lens) - lens) // most
+        cuts = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), len(texts)]
+        bounds = np.r_[0, ends]
+        for a, b in zip(cuts, cuts[1:], strict=False):
+            i, j = bounds[a], bounds[b]
+            yield a, b, gathered(pool, begin[i:j], size[i:j]), lens[a:b]
 
 
 _encoders: dict[str, Encoder] = {}
@@ -227,11 +240,6 @@ def encoder(path: str) -> Encoder:
     return _encoders[path]
 
 
-def ended(ids: np.ndarray, lens: np.ndarray, end_id: int) -> np.ndarray:
-    """``ids`` with ``end_id`` behind each document."""
-    return np.insert(ids, np.cumsum(lens), end_id)
-
-
 # --- files -----------------------------------------------------------------
 
 
@@ -257,12 +265,13 @@ def write_ids(docs: DataFrame, vocabulary: str, end_id: int = 0, shard_ids: int
             held.clear()
             return pa.record_batch([pa.array([x], t) for x, t in zip(row, [pa.int32()] * 2 + [pa.int64()] * 3 + [pa.binary()] * 7, strict=True)], names=[c.split()[0] for c in SCHEMA.split(", ")])
 
-        for batch in slices(batches, most=8 * shard_ids):
-            ids, lens = encoder(vocabulary).encode(batch.column(1))
+        for batch in slices(batches, most=ENCODED_BYTES):
+            doc_ids = pc.fill_null(batch.column(0), 0).to_numpy(zero_copy_only=False).astype("<i8")
             gone = pc.is_null(batch.column(0)).to_numpy(zero_copy_only=False).astype(np.uint8)
-            held.append((pc.fill_null(batch.column(0), 0).to_numpy(zero_copy_only=False).astype("<i8"), gone, lens + 1, ended(ids, lens, end_id)))
-            if sum(len(x[3]) for x in held) >= shard_ids:
-                yield shard()
+            for a, b, ids, lens in encoder(vocabulary).encode(batch.column(1), end_id, shard_ids):
+                held.append((doc_ids[a:b], gone[a:b], lens, ids))
+                if sum(len(x[3]) for x in held) >= shard_ids // 2:
+                    yield shard()
         if held:
             yield shard()
 

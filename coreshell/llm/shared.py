@@ -99,3 +99,8 @@ def word_codes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.Array]:
         keep = codes != blank
         where, codes = where[keep], codes[keep]
     return where, codes, coded.dictionary
+
+
+def strings(array: pa.Array) -> list[str]:
+    """Python strings of an array without nulls, made in one go."""
+    return array.to_numpy(zero_copy_only=False).tolist()

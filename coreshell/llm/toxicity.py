@@ -16,7 +16,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, over_slices, plain, slices
+from coreshell.llm.shared import id_and_text, over_slices, plain, slices, strings
 
 ENDS = r"[.!?\n]+"
 _edges = regex.compile(r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$")
@@ -58,7 +58,7 @@ def sentence_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray,
     coded = words.flatten().dictionary_encode()
     codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
     at = np.repeat(np.arange(len(doc)), np.diff(words.offsets.to_numpy().astype(np.int64)))
-    folded = [fold(w) for w in coded.dictionary.to_pylist()]
+    folded = [fold(w) for w in strings(coded.dictionary)]
     real = np.fromiter((bool(w) for w in folded), bool, len(folded))
     keep = real[codes] if len(codes) else np.zeros(0, bool)
     codes, at = codes[keep], at[keep]
