@@ -135,17 +135,29 @@ def edited(docs: DataFrame) -> DataFrame:
     heads = heads.groupBy("for_id").agg(F.min("next").alias("next"))
     n = F.length("text")
     quarter = F.floor(n / 4).cast("int")
-    both = rows.join(heads, F.col("doc_id").eqNullSafe(F.col("for_id"))).join(bad, ["high", "low"], "left")
+    both = rows.join(heads, F.col("doc_id").eqNullSafe(F.col("for_id")))
     both = both.withColumn("edited", F.concat(F.substr("text", F.lit(1), n - quarter), F.substr("next.head", F.lit(1), quarter)))
     both = both.withColumn("edited_canon", canonical(F.col("edited")))
-    own, other = digest(F.col("high"), F.col("low")), digest(*lanes(F.col("edited_canon")))
-    more = F.when(F.coalesce("bad", F.lit(False)), F.sha2("canon", 256)).otherwise(F.lit(""))
-    return both.select(
+    # digests only from here on
+    both = both.select(
         "doc_id",
+        "high",
+        "low",
         n.cast("long").alias("n_chars"),
         F.sha2("edited", 256).alias("edited_sha256"),
+        F.when(F.col("copied"), F.sha2("canon", 256)).alias("more"),
+        digest(*lanes(F.col("edited_canon"))).alias("other"),
+        (F.col("canon") == F.col("edited_canon")).alias("same"),
+        F.col("next.fingerprint").alias("next"),
+    )
+    both = both.join(bad, ["high", "low"], "left")
+    own, more = digest(F.col("high"), F.col("low")), F.when(F.coalesce("bad", F.lit(False)), F.col("more")).otherwise(F.lit(""))
+    return both.select(
+        "doc_id",
+        "n_chars",
+        "edited_sha256",
         F.concat(own, more).alias("fingerprint"),
-        F.concat(other, F.when(F.col("canon") == F.col("edited_canon"), more).otherwise(F.lit(""))).alias("edited_fingerprint"),
-        (F.col("canon") == F.col("edited_canon")).cast("double").alias("near_edited"),
-        (own == F.col("next.fingerprint")).cast("double").alias("near_next"),
+        F.concat("other", F.when(F.col("same"), more).otherwise(F.lit(""))).alias("edited_fingerprint"),
+        F.col("same").cast("double").alias("near_edited"),
+        (own == F.col("next")).cast("double").alias("near_next"),
     )
