@@ -8,9 +8,13 @@ document of its weight needs are drawn (some eight darts a coordinate, however l
 a coordinate stays empty.
 
 Signatures are joined by bands, candidates are verified by their exact weighted Jaccard similarity, and classes are
-the connected components of verified links. A bucket of a band isn't expanded into pairs: its members are compared
-with a few hubs, the most popular first; members whose component differs from a hub's stay open for further hubs,
-eight times as many each round, until a bucket's open members are of one component.
+the connected components of verified links. A bucket of a band isn't expanded into pairs. Its members are compared with
+one hub, the most popular of them. Two members that are both near the hub are of one class anyway. A member f that is
+not near the hub H can only be near another member x if the two share something H doesn't explain, by the prefix
+filter: what f and x have in common beyond what each has in common with H must lie outside H, and of two sets that share
+m elements all but the last m - 1 in a common order meet. Where nothing outside H is needed, x is smaller than H by a
+margin, and prefixes with H's shingles last must meet. So the rest is an exact join on such tokens, rare ones first, and
+only where they meet across components.
 """
 
 from __future__ import annotations
@@ -19,11 +23,14 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, over_slices, slices, stored, word_codes
+from coreshell.llm.shared import id_and_text, over_slices, slices, stored, strings, word_codes
 
 BANDS, ROWS = 20, 5
+#: Bytes of text that are signed together; a dart takes more memory than its word.
+SIGNED_BYTES = 4 << 20
 SHINGLE = 5
 LIKENESS = 0.8
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
@@ -40,7 +47,7 @@ def mixed(x: np.ndarray) -> np.ndarray:
 def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(document position, hash) of each lower-case word."""
     where, codes, words = word_codes(texts)
-    each = np.fromiter((xxhash.xxh3_64_intdigest(w.lower()) for w in words.to_pylist()), np.uint64, len(words))
+    each = np.fromiter((xxhash.xxh3_64_intdigest(w.lower()) for w in strings(words)), np.uint64, len(words))
     return where, each[codes]
 
 
@@ -116,7 +123,7 @@ def _signed(batch: pa.RecordBatch) -> pa.RecordBatch:
 
 def signed(docs: DataFrame) -> DataFrame:
     """``doc_id``, the 128-bit digest of its words (``high``, ``low``) and its band hashes (none without words)."""
-    return over_slices(id_and_text(docs), _signed, "doc_id long, high long, low long, bands array<long>")
+    return over_slices(id_and_text(docs), _signed, "doc_id long, high long, low long, bands array<long>", SIGNED_BYTES)
 
 
 def _vectors(batch: pa.RecordBatch) -> pa.RecordBatch:
@@ -133,30 +140,41 @@ def likeness(a: np.ndarray, b: np.ndarray) -> float:
     """Weighted Jaccard similarity of two sorted multisets."""
     if not len(a) or not len(b):
         return 1.0 if len(a) == len(b) else 0.0
-    both = np.concatenate([a, b])
-    owner = np.concatenate([np.zeros(len(a), bool), np.ones(len(b), bool)])
-    order = np.argsort(both, kind="stable")
-    both, owner = both[order], owner[order]
-    start = np.flatnonzero(np.r_[True, both[1:] != both[:-1]])
-    in_b = np.add.reduceat(owner.astype(np.int64), start)
-    size = np.diff(np.r_[start, len(both)])
-    common = int(np.minimum(in_b, size - in_b).sum())
+    common = len(np.intersect1d(_numbered(a), _numbered(b), assume_unique=True))
     return common / (len(a) + len(b) - common)
 
 
-def _verified(least: float):
+def _numbered(sorted_values: np.ndarray) -> np.ndarray:
+    """Distinct keys for the copies in a sorted multiset: value, then number of the copy."""
+    index = np.arange(len(sorted_values))
+    fresh = np.r_[True, sorted_values[1:] != sorted_values[:-1]] if len(index) else np.zeros(0, bool)
+    return sorted_values.astype(np.int64) << 20 | index - np.maximum.accumulate(np.where(fresh, index, 0))
+
+
+def _compared(least: float):
+    """Arrow kernel: of ``a, b, of_a, of_b`` the sizes, what is common, a's shingles outside b (``own``) and, where those don't fill a's prefix, the first inside b (``inner``)."""
+
     def run(batches):
         for whole in batches:
             for batch in slices(iter([whole]), column=2):
-                keep = []
-                for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                    small, large = sorted((len(a), len(b)))
-                    keep.append(small >= least * large and likeness(np.frombuffer(a, np.uint32), np.frombuffer(b, np.uint32)) >= least)
-                yield batch.select([0, 1]).filter(pa.array(keep))
+                rows = []
+                for of_a, of_b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                    a, b = (_numbered(np.frombuffer(x, np.uint32)) for x in (of_a, of_b))
+                    at = np.minimum(np.searchsorted(b, a), max(0, len(b) - 1))
+                    inside = b[at] == a if len(b) else np.zeros(len(a), bool)
+                    prefix = int((1 - least) * len(a) + 1e-9) + 1
+                    own = a[~inside]
+                    rows.append((len(a), len(b), len(a) - len(own), own, a[inside][: max(0, prefix - len(own))]))
+                n_a, n_b, common, own, inner = zip(*rows, strict=True)
+                lists = [pa.array(x, pa.list_(pa.int64())) for x in (own, inner)]
+                yield pa.record_batch([batch.column(0), batch.column(1), *[pa.array(x, pa.int64()) for x in (n_a, n_b, common)], *lists], names=["a", "b", "n_a", "n_b", "common", "own", "inner"])
 
     return run
 
 
+COMPARED = "a long, b long, n_a long, n_b long, common long, own array<long>, inner array<long>"
+
+
 def components(links: DataFrame) -> DataFrame:
     """``node, label`` of every node in ``links`` (``a``, ``b``): the smallest node of its connected component.
 
@@ -184,7 +202,7 @@ def near_duplicates(docs: DataFrame, least: float = LIKENESS) -> DataFrame:
     """
     rows = stored(signed(docs), "signatures")
     nodes = stored(rows.groupBy("high", "low").agg(F.min("doc_id").alias("node"), F.first("bands").alias("bands"), F.count("*").alias("n")), "nodes")
-    dealt = nodes.where("node is not null").select("node", F.posexplode("bands").alias("band", "hash")).distinct()
+    dealt = nodes.where("node is not null").select("node", F.posexplode("bands").alias("band", "hash"))
     shared = dealt.groupBy("band", "hash").agg(F.count("*").alias("n")).where("n > 1")
     shared = stored(dealt.join(shared, ["band", "hash"]), "shared")
     labels = _joined(docs, shared, least)
@@ -198,47 +216,74 @@ def near_duplicates(docs: DataFrame, least: float = LIKENESS) -> DataFrame:
     return rows.select("doc_id", "high", "low").join(found, ["high", "low"]).select("doc_id", "class_id", "class_size")
 
 
+def _with_vectors(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
+    left = vectors.select(F.col("node").alias("a"), F.col("vector").alias("of_a"))
+    right = vectors.select(F.col("node").alias("b"), F.col("vector").alias("of_b"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "of_a", "of_b")
+
+
+def _near(least: float):
+    """At least ``least`` alike: common >= least * (n_a + n_b - common)."""
+    return F.col("common") >= least * (F.col("n_a") + F.col("n_b") - F.col("common")) - 1e-9
+
+
 def _joined(docs: DataFrame, members: DataFrame, least: float) -> DataFrame | None:
-    """Components of verified links between the members of shared buckets; None if there are no links."""
+    """Components of verified links between the members of shared buckets (``band, hash, node, n``); None if there are no links."""
     if members.isEmpty():
         return None
     popular = members.groupBy("node").agg(F.sum("n").alias("score"))
-    ids = popular.select("node")
     text = id_and_text(docs)
-    vectors = stored(over_slices(text.join(ids, text["doc_id"] == ids["node"], "left_semi"), _vectors, "node long, vector binary"), "vectors")
-    unused = stored(members.join(popular, "node").select("band", "hash", "node", "score"), "unused")
-    links = labels = compared = None
-    salts = 1
-    while True:
-        if labels is None:
-            open_ = unused.withColumn("label", F.col("node"))
-        else:
-            at = labels.withColumnRenamed("node", "at")
-            open_ = unused.join(at, unused["node"] == at["at"], "left").select("band", "hash", "node", "score", F.coalesce("label", "node").alias("label"))
-            mixed_ = open_.groupBy("band", "hash").agg(F.min("label").alias("a"), F.max("label").alias("b")).where("a < b").select("band", "hash")
-            open_ = stored(open_.join(mixed_, ["band", "hash"]), "open")
-            if open_.isEmpty():
-                return labels
-        salt = F.pmod(F.xxhash64("node"), F.lit(salts)).alias("salt")
-        hubs = open_.groupBy("band", "hash", salt).agg(F.max(F.struct("score", (-F.col("node")).alias("minus"), "label")).alias("top"))
-        hubs = stored(hubs.select("band", "hash", (-F.col("top.minus")).alias("hub"), F.col("top.label").alias("hub_label")), "hubs")
-        pairs = open_.join(hubs, ["band", "hash"]).where("label <> hub_label").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
-        if compared is not None:
-            pairs = pairs.join(compared, ["a", "b"], "left_anti")
-        pairs = stored(pairs, "pairs")
-        compared = pairs if compared is None else compared.union(pairs)
-        left = vectors.select(F.col("node").alias("a"), F.col("vector").alias("of_a"))
-        right = vectors.select(F.col("node").alias("b"), F.col("vector").alias("of_b"))
-        rows = pairs.join(left, "a").join(right, "b").select("a", "b", "of_a", "of_b")
-        new = stored(rows.mapInArrow(_verified(least), "a long, b long"), "links")
-        links = new if links is None else links.union(new)
-        if not new.isEmpty():
-            labels = components(links)
-        elif labels is None:
-            labels = links.select(F.col("a").alias("node"), F.col("b").alias("label"))
-        used = hubs.withColumnRenamed("hub", "node").select("band", "hash", "node")
-        unused = stored(unused.join(used, ["band", "hash", "node"], "left_anti"), "unused")
-        salts *= 8
+    # one plan at every size: the texts are dealt by id, however few are wanted
+    wanted = text.join(popular.select("node").hint("merge"), text["doc_id"] == popular["node"], "left_semi")
+    vectors = stored(over_slices(wanted, _vectors, "node long, vector binary"), "vectors")
+    ranked = members.join(popular, "node").select("band", "hash", "node", "score")
+    hubs = ranked.groupBy("band", "hash").agg(F.max(F.struct("score", (-F.col("node")).alias("minus"))).alias("top"))
+    hubs = hubs.select("band", "hash", (-F.col("top.minus")).alias("b"))
+    pairs = members.select("band", "hash", F.col("node").alias("a")).join(hubs, ["band", "hash"]).where("a <> b").select("a", "b").distinct()
+    compared = stored(_with_vectors(pairs, vectors).mapInArrow(_compared(least), COMPARED), "compared")
+    links = compared.where(_near(least)).select("a", "b")
+    labels = None if links.isEmpty() else components(links)
+    rest = stored(_rest(compared, labels, least), "rest")
+    more = _with_vectors(rest, vectors).mapInArrow(_compared(least), COMPARED)
+    more = stored(more.where(_near(least)).select("a", "b"), "more_links")
+    if more.isEmpty():
+        return labels
+    return components(links.union(more))
+
+
+def _rest(compared: DataFrame, labels: DataFrame | None, least: float) -> DataFrame:
+    """``a, b``: pairs that may be near though one of them (``a``) isn't near their common hub, across components."""
+    if labels is None:
+        rows = compared.withColumns({"label": F.col("a"), "hub_label": F.col("b")})
+    else:
+        of_a, of_b = (labels.select(F.col("node").alias(f"node_{x}"), F.col("label").alias(f"label_{x}")) for x in "ab")
+        rows = compared.join(of_a, F.col("a") == F.col("node_a"), "left").join(of_b, F.col("b") == F.col("node_b"), "left")
+        rows = rows.withColumns({"label": F.coalesce("label_a", "a"), "hub_label": F.coalesce("label_b", "b")})
+    away = F.col("label") != F.col("hub_label")
+    # the largest size of x that shares nothing with f outside the hub
+    reach = F.when(away, F.floor(F.col("common") * (1 + least) / least - F.col("n_a") + 1e-9).cast("long"))
+    rows = rows.select("a", F.col("b").alias("hub"), "label", "n_a", "common", "own", "inner", away.alias("away"), reach.alias("reach"), _near(least).alias("near"))
+    busy = rows.groupBy("hub").agg(F.count("*").alias("n"), F.count(F.when(F.col("near"), 1)).alias("n_near"), F.max("away").alias("any"), F.max("reach").alias("most"))
+    busy = busy.select(F.col("hub").alias("of"), "n", "n_near", "any", "most")
+    rows = rows.join(busy, F.col("hub") == F.col("of")).drop("of")
+    # any hub that two members have in common settles their case: the one that is near to most does
+    own_hubs = rows.groupBy(F.col("a").alias("of")).agg(F.collect_set(F.struct("n_near", "hub")).alias("hubs"))  # one hub a band at most
+    rows = rows.where("n > 1 and any").join(own_hubs, F.col("a") == F.col("of")).drop("of")
+    inner = F.when(F.col("away") | (F.col("n_a") <= F.col("most")), F.transform("inner", lambda t: F.struct(t.alias("token"), F.lit(True).alias("in_hub")))).otherwise(F.array())
+    both = F.concat(F.transform("own", lambda t: F.struct(t.alias("token"), F.lit(False).alias("in_hub"))), inner)
+    tokens = rows.select("hub", "a", "label", "n_a", "common", "away", "reach", "hubs", F.inline(both))
+    # the common order within a hub: rare tokens first, so that what members don't share fills their prefixes
+    meets = tokens.groupBy("hub", "token").agg(F.count("*").alias("df"), F.max("away").alias("any"), F.min("label").alias("low"), F.max("label").alias("high"))
+    rank = F.row_number().over(W.partitionBy("hub", "a", "in_hub").orderBy("df", "token")) - 1
+    tokens = stored(tokens.join(meets, ["hub", "token"]).withColumn("rank", rank).where("any and low < high").drop("df", "any", "low", "high"), "tokens")
+    f = tokens.where("away").drop("away")
+    x = tokens.select("hub", "token", *[F.col(c).alias(f"{c}_x") for c in ("a", "label", "n_a", "common", "rank", "hubs")])
+    # shingles outside the hub that two near members must share
+    need = F.ceil((F.col("n_a") + F.col("n_a_x")) * least / (1 + least) - 1e-9) - F.least("common", "common_x")
+    within = [F.col(f"rank{i}") <= F.when(need > 0, F.col(f"n_a{i}") - F.col(f"common{i}") - need).otherwise(F.floor(F.col(f"n_a{i}") * (1 - least) + 1e-9)) for i in ("", "_x")]
+    settled = F.array_max(F.array_intersect("hubs", "hubs_x"))["hub"] == F.col("hub")
+    meet = f.join(x, ["hub", "token"]).where(F.col("label") != F.col("label_x")).where((F.col("in_hub") & (need <= 0) & (F.col("n_a_x") <= F.col("reach"))) | ~F.col("in_hub") & within[0] & within[1]).where(settled)
+    return meet.select(F.least("a", "a_x").alias("a"), F.greatest("a", "a_x").alias("b")).distinct()
 
 
 def without_near_duplicates(docs: DataFrame, least: float = LIKENESS) -> DataFrame:

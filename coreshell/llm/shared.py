@@ -70,11 +70,11 @@ def slices(batches: Iterator[pa.RecordBatch], column: int = 1, most: int = SLICE
             yield batch.slice(a, b - a)
 
 
-def over_slices(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
+def over_slices(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, most: int = SLICE_BYTES) -> DataFrame:
     """``kernel`` over slices of bounded size of ``df`` (the text is the second column)."""
 
     def run(batches):
-        for part in slices(batches):
+        for part in slices(batches, most=most):
             out = kernel(part)
             if out.num_rows:
                 yield out
