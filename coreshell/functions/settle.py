@@ -20,8 +20,8 @@ class Block:
         at[at == len(self.ids)] = 0
         inside = self.ids[at] == dst if len(self.ids) else np.zeros(0, bool)
         rim, place = np.unique(dst[~inside], return_inverse=True)
-        frozen = np.zeros(len(rim), np.int64)
-        frozen[place] = est_dst[~inside]
+        frozen = np.full(len(rim), np.iinfo(np.int64).max)
+        np.minimum.at(frozen, place, est_dst[~inside])  # of several copies the lowest is the latest
         self.n = len(self.ids)
         self.nbrs = np.empty(len(dst), np.int64)
         self.nbrs[inside], self.nbrs[~inside] = at[inside], self.n + place

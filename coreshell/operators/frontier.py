@@ -24,6 +24,8 @@ from coreshell.plans.rounds import CoreResult, loop_until_stable
 BROADCAST_VERTICES = 500_000
 #: Arcs (some 100 bytes each at work) that one task takes.
 TASK_ARCS = 8_000_000
+#: Vertices that make up one task's work; a smaller frontier isn't worth spreading.
+BATCH = 1 << 17
 
 
 def small(df: DataFrame, rows: int, limit: int = BROADCAST_VERTICES) -> DataFrame:
@@ -110,7 +112,7 @@ def coreness_frontier(
     g: Graph,
     gate: str = "support",
     tail: str = "priority",
-    batch_size: int = 256,
+    batch_size: int = BATCH,
     switch_below: int | None = None,
     switch_fraction: float | None = None,
     task_arcs: int = TASK_ARCS,

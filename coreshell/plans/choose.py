@@ -25,9 +25,9 @@ def coreness(g: Graph, method: str | None = None, **options) -> CoreResult:
     n, m = g.size()
     if m <= LOCAL_ARCS:
         return peel_bucket(g)
-    first = coreness_frontier(g, switch_below=1 << 20, max_rounds=PLATEAU_ROUNDS)
+    first = coreness_frontier(g, max_rounds=PLATEAU_ROUNDS)
     if not first.rounds or not first.rounds[-1]["n_changed"]:
         return first
     if first.rounds[-1]["n_active"] >= PLATEAU_SHARE * n:
-        return coreness_frontier(g, switch_below=1 << 20, start=first.cores.select("id", F.col("coreness").alias("est")))
+        return coreness_frontier(g, start=first.cores.select("id", F.col("coreness").alias("est")))
     return coreness_blocked(g, max(1, -(-2 * m // TASK_ARCS)), start=first.cores.select("id", F.col("coreness").alias("est")))

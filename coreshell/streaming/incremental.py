@@ -30,7 +30,7 @@ class IncrementalCores:
         known = bound.withColumnRenamed("id", "of")
         start = g.degrees().join(known, F.col("id") == F.col("of"), "left").select("id", F.least("degree", F.coalesce("est", "degree")).cast("int").alias("est"))
         awake = self.store.keep(active.join(g.degrees().select("id"), "id", "left_semi").distinct())
-        result = coreness_frontier(g, start=self.store.keep(start), active=awake, switch_below=1 << 20)
+        result = coreness_frontier(g, start=self.store.keep(start), active=awake)
         self.edges, self.cores, self.stats = edges, self.store.keep(result.cores), result.stats
 
     def apply(self, inserts: DataFrame | None = None, deletes: DataFrame | None = None) -> DataFrame:

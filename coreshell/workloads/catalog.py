@@ -22,9 +22,6 @@ from coreshell.streaming.incremental import IncrementalCores
 from coreshell.workloads.graphs import BUILDERS, GRAPHS, NAMED, build, edges_sql, named_sql, states_sql
 
 Query = Callable[[SparkSession, str], DataFrame]
-#: The frontier leaves the parallel mode below this share of active vertices, if one task can take what is left.
-TAIL_SHARE = 0.5
-
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
@@ -35,10 +32,6 @@ def register(name: str, query: Query, sql: str | None = None) -> None:
         ORACLES[name] = sql
 
 
-def frontier(g: Graph, **options):
-    return coreness_frontier(g, **({"switch_fraction": TAIL_SHARE} | options))
-
-
 def long_cores(g: Graph, cores: DataFrame) -> DataFrame:
     return g.named(cores.select("id", F.col("coreness").cast("long").alias("coreness")))
 
@@ -76,7 +69,7 @@ for _g in GRAPHS:
     else:
         register(f"edges_{_g}", lambda s, d, n=_g: build(s, d, n).edges, f"WITH {edges_sql(_g)} SELECT u, v FROM e")
         register(f"degree_{_g}", lambda s, d, n=_g: build(s, d, n).degrees().select("id", F.col("degree").cast("long").alias("degree")), f"WITH {edges_sql(_g)} SELECT id, count(*) AS degree FROM (SELECT u AS id FROM e UNION ALL SELECT v FROM e) GROUP BY id")
-    register(f"cores_{_g}", _cores_query(_g, frontier), _cores_sql(_g))
+    register(f"cores_{_g}", _cores_query(_g, coreness_frontier), _cores_sql(_g))
     register(
         f"profile_{_g}",
         _on(_g, profile),
@@ -98,8 +91,8 @@ for _name, _graph, _run in [
     ("cores_fused_customer_part", "customer_part", lambda g: coreness_mailbox(g, "batch", phases="fused")),
     *[(f"cores_gate_{k}_customer_part", "customer_part", lambda g, k=k: coreness_frontier(g, gate=k, tail="none")) for k in ("all", "lower", "support", "counter")],
     ("cores_tail_none_doc_line", "doc_line", lambda g: coreness_frontier(g, tail="none")),
-    *[(f"cores_tail_{t}_order_grid", "order_grid", lambda g, t=t: frontier(g, tail=t)) for t in ("priority", "fifo", "heap")],
-    ("cores_tail_surroundings_order_grid", "order_grid", lambda g: frontier(g, task_arcs=40_000)),
+    *[(f"cores_tail_{t}_order_grid", "order_grid", lambda g, t=t: coreness_frontier(g, tail=t, batch_size=4096)) for t in ("priority", "fifo", "heap")],
+    ("cores_tail_surroundings_order_grid", "order_grid", lambda g: coreness_frontier(g, batch_size=4096, task_arcs=40_000)),
     ("cores_paper_batch_order_part", "order_part", lambda g: coreness_frontier(g, batch_size=256)),
     ("cores_shuffled_joins_user_handoff", "user_handoff", lambda g: coreness_frontier(g, tail="none", broadcast_vertices=0)),
     *[(f"cores_blocked_{p}_order_grid", "order_grid", lambda g, p=p: coreness_blocked(g, 8, p)) for p in ("hash", "range", "chunk")],
@@ -249,13 +242,13 @@ def _mismatch(graph: str, one: Callable, two: Callable) -> Query:
     return query
 
 
-register("mismatch_frontier_peel_part_copurchase", _mismatch("part_copurchase", frontier, peel_bucket), "SELECT CAST(0 AS BIGINT) AS n_mismatch")
-register("mismatch_mailbox_frontier_page_link", _mismatch("page_link", lambda g: coreness_mailbox(g), frontier), "SELECT CAST(0 AS BIGINT) AS n_mismatch")
+register("mismatch_frontier_peel_part_copurchase", _mismatch("part_copurchase", coreness_frontier, peel_bucket), "SELECT CAST(0 AS BIGINT) AS n_mismatch")
+register("mismatch_mailbox_frontier_page_link", _mismatch("page_link", lambda g: coreness_mailbox(g), coreness_frontier), "SELECT CAST(0 AS BIGINT) AS n_mismatch")
 
 
 def _certificate(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = build(spark, sf_dir, "order_grid")
-    return M.certify(g, g.store.keep(frontier(g).cores), A.core_layers(g))
+    return M.certify(g, g.store.keep(coreness_frontier(g).cores), A.core_layers(g))
 
 
 register("certificate_order_grid", _certificate, "SELECT CAST(0 AS BIGINT) AS too_high, CAST(0 AS BIGINT) AS too_low")

@@ -97,14 +97,15 @@ def states_sql(name: str) -> str:
     return f"""WITH RECURSIVE {edges_sql(name)},
 a AS MATERIALIZED (SELECT u AS src, v AS dst FROM e UNION ALL SELECT v, u FROM e),
 deg AS MATERIALIZED (SELECT src AS id, count(*) AS k FROM a GROUP BY src),
-s (it, id, k, changed) AS (
+loop (it, id, k, changed) AS (
   SELECT 0, id, k, true FROM deg
   UNION ALL
   SELECT it + 1, id, new, bool_or(new < k) OVER () FROM (
     SELECT it, id, k, max(least(r, other, k)) AS new FROM (
       SELECT x.it, x.id, x.k, y.k AS other, row_number() OVER (PARTITION BY x.id ORDER BY y.k DESC) AS r
-      FROM s x JOIN a ON a.src = x.id JOIN s y ON y.id = a.dst WHERE x.changed) GROUP BY it, id, k)
+      FROM loop x JOIN a ON a.src = x.id JOIN loop y ON y.id = a.dst WHERE x.changed) GROUP BY it, id, k)
 ),
+s AS MATERIALIZED (SELECT * FROM loop),
 final AS MATERIALIZED (SELECT id, CAST(k AS INTEGER) AS k FROM s WHERE it = (SELECT max(it) FROM s))"""
 
 
