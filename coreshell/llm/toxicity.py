@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 from coreshell.llm.shared import id_and_text, over_slices, plain, slices, strings
 
 ENDS = r"[.!?\n]+"
+#: Lengths of the beginnings of words that are features.
+PREFIXES = range(3, 8)
 _edges = regex.compile(r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$")
 
 
@@ -26,10 +28,11 @@ _edges = regex.compile(r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$")
 class Settings:
     """Bounds of the fitted sample and of the fit; they don't touch scoring."""
 
-    most_rows: int = 6000  # training documents of each label
-    most_chars: int = 12_000  # longer documents aren't trained on
-    most_words: int = 3000  # words with a weight
-    least_documents: int = 4  # training documents that a word with a weight is in
+    most_rows: int = 3000  # training documents of each label
+    most_chars: int = 8_000  # longer documents aren't trained on
+    most_features: int = 4000  # words and beginnings of words with a weight
+    least_documents: int = 4  # training documents that a feature with a weight is in
+    least_z: float = 2.0  # how surely it must tell the labels apart
     steps: int = 300
     l2: float = 2e-4
     threshold: float = 0.7
@@ -66,8 +69,20 @@ def sentence_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray,
     return doc[used], at, codes, folded
 
 
+def features(word: str) -> list[str]:
+    """A word and its beginnings, so that inflected and compound forms share what their stem tells."""
+    return [word, *("^" + word[:k] for k in PREFIXES if k < len(word))]
+
+
+def _spread(groups: np.ndarray, codes: np.ndarray, lists: np.ndarray, flat: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(group, feature) pairs from (group, word) pairs; word ``i`` has the features ``flat[lists[i]:lists[i + 1]]``."""
+    size = np.diff(lists)[codes]
+    ends = np.cumsum(size)
+    return np.repeat(groups, size), flat[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(lists[codes] - ends + size, size)]
+
+
 def fit(texts: list[str], labels: np.ndarray, row_weight: np.ndarray, s: Settings) -> Model:
-    """Gradient descent on the noisy-or likelihood, over the words that tell the labels apart best."""
+    """Gradient descent on the noisy-or likelihood, over the features that tell the labels apart best."""
     if not len(texts) or labels.min() == labels.max():
         return Model({}, 30.0 if len(texts) and labels.min() == 1 else -30.0)
     doc, at, codes, folded = sentence_words(pa.array(texts, pa.string()))
@@ -75,24 +90,34 @@ def fit(texts: list[str], labels: np.ndarray, row_weight: np.ndarray, s: Setting
     codes = np.fromiter((names[w] for w in folded), np.int64, len(folded))[codes]
     pairs = np.unique(at * len(names) + codes)  # a word counts once in a sentence
     at, codes = pairs // len(names), pairs % len(names)
+    known: dict[str, int] = {}
+    per_word = [[known.setdefault(f, len(known)) for f in features(w)] for w in names]
+    lists = np.r_[0, np.cumsum([len(x) for x in per_word])]
+    flat = np.fromiter((f for x in per_word for f in x), np.int64, int(lists[-1]))
     in_docs = np.unique(doc[at] * len(names) + codes)
-    d, w = in_docs // len(names), in_docs % len(names)
-    df = np.bincount(w, minlength=len(names))
-    pos, neg = (np.bincount(w, weights=row_weight[d] * (labels[d] == y), minlength=len(names)) for y in (1, 0))
+    d, f = _spread(in_docs // len(names), in_docs % len(names), lists, flat)
+    once = np.unique(d * len(known) + f)
+    d, f = once // len(known), once % len(known)
+    df = np.bincount(f, minlength=len(known))
+    pos, neg = (np.bincount(f, weights=row_weight[d] * (labels[d] == y), minlength=len(known)) for y in (1, 0))
+    seen = np.bincount(f, weights=labels[d] == 1, minlength=len(known))
+    del in_docs, d, f, once
     all_pos, all_neg = (float((row_weight * (labels == y)).sum()) for y in (1, 0))
     a, b = (pos + 0.5) / (all_pos + 1), (neg + 0.5) / (all_neg + 1)
-    z = np.abs(np.log(a / b)) / np.sqrt(1 / (pos + 0.5) + 1 / (neg + 0.5))
-    z[(df < s.least_documents)] = 0
-    best = np.argsort(-z, kind="stable")[: s.most_words]
-    best = np.sort(best[z[best] > 1.5])
-    slot = np.full(len(names), -1)
+    z = np.abs(np.log(a / b)) / np.sqrt(1 / (seen + 0.5) + 1 / (df - seen + 0.5))
+    z[df < s.least_documents] = 0
+    best = np.argsort(-z, kind="stable")[: s.most_features]
+    best = np.sort(best[z[best] > s.least_z])
+    slot = np.full(len(known), -1)
     slot[best] = np.arange(len(best))
-    keep = slot[codes] >= 0
-    at, codes = at[keep], slot[codes[keep]]
+    kept = slot[flat] >= 0
+    lists = np.r_[0, np.cumsum(kept)][lists]
+    flat = slot[flat[kept]]
+    at, codes = _spread(at, codes, lists, flat)
     n, m = len(doc), len(best)
-    weight, bias = np.zeros(m), np.log(max(all_pos / (all_pos + all_neg), 1e-4) / max(1.0, n / len(texts)))
+    bias = np.log(max(all_pos / (all_pos + all_neg), 1e-4) / max(1.0, n / len(texts)))
     row_weight = row_weight / row_weight.sum()
-    theta, first, second = np.r_[weight, bias], np.zeros(m + 1), np.zeros(m + 1)
+    theta, first, second = np.r_[np.zeros(m), bias], np.zeros(m + 1), np.zeros(m + 1)
     for t in range(1, s.steps + 1):
         x = np.bincount(at, weights=theta[codes], minlength=n) + theta[m]
         soft = np.logaddexp(0, x)
@@ -102,7 +127,7 @@ def fit(texts: list[str], labels: np.ndarray, row_weight: np.ndarray, s: Setting
         grad = np.r_[np.bincount(codes, weights=g[at], minlength=m) + s.l2 * theta[:m], g.sum()]
         first, second = 0.9 * first + 0.1 * grad, 0.999 * second + 0.001 * grad**2
         theta = theta - 0.1 * (first / (1 - 0.9**t)) / (np.sqrt(second / (1 - 0.999**t)) + 1e-9)
-    words = list(names)
+    words = list(known)
     return Model({words[i]: float(x) for i, x in zip(best, theta[:m], strict=True)}, float(theta[m]))
 
 
@@ -110,7 +135,7 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings | None = None) -> Mode
     """Fit on labelled documents that aren't held out: for each label the ``most_rows`` first by a hash of doc_id.
 
     Where a label has more rows, its sample counts for all of them. A doc_id with several labels counts as toxic if any
-    says so; null labels are none.
+    says so; null labels are none. The sample is fitted in one task; only the model comes to the driver.
     """
     s = s or Settings()
     marked = labels.select(labels["doc_id"].cast("long").alias("doc_id"), labels["toxic"].cast("int").alias("y")).where("doc_id is not null and y is not null")
@@ -118,26 +143,37 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings | None = None) -> Mode
     counts = {r["y"]: r["n"] for r in marked.groupBy("y").agg(F.count("*").alias("n")).collect()}
     parts = [marked.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.most_rows) for y in (0, 1)]
     sample = F.broadcast(parts[0].union(parts[1]))  # at most 2 * most_rows ids
-    rows = id_and_text(docs).where(F.length("text") <= s.most_chars).join(sample, "doc_id").collect()
-    rows.sort(key=lambda r: (r["doc_id"], r["text"]))
-    y = np.array([r["y"] for r in rows], np.int64)
-    share = {k: counts[k] / max(1, int((y == k).sum())) for k in counts}
-    return fit([r["text"] for r in rows], y, np.array([share[k] for k in y.tolist()], float), s)
+    rows = id_and_text(docs).where(F.length("text") <= s.most_chars).join(sample, "doc_id")
+
+    def run(batches):
+        held = sorted((r["doc_id"], r["text"], r["y"]) for b in batches for r in b.to_pylist())
+        y = np.array([r[2] for r in held], np.int64)
+        share = {k: counts[k] / max(1, int((y == k).sum())) for k in counts}
+        model = fit([r[1] for r in held], y, np.array([share[k] for k in y.tolist()], float), s)
+        yield pa.record_batch([pa.array([None, *model.weights], pa.string()), pa.array([model.bias, *model.weights.values()])], names=["feature", "weight"])
+
+    fitted = {r["feature"]: r["weight"] for r in rows.repartition(1).mapInArrow(run, "feature string, weight double").collect()}
+    return Model({k: w for k, w in fitted.items() if k is not None}, fitted.get(None, -30.0))
+
+
+def word_weights(model: Model, words) -> np.ndarray:
+    """What each word adds to its sentence."""
+    known = model.weights
+    return np.fromiter((sum(known.get(f, 0.0) for f in features(w)) for w in words), float, len(words))
 
 
 def _sentence_scores(texts: pa.Array, model: Model) -> tuple[np.ndarray, np.ndarray]:
     doc, at, codes, folded = sentence_words(texts)
     if len(codes):
-        pairs = np.unique(at * len(folded) + codes)
-        each = np.fromiter((model.weights.get(w, 0.0) for w in folded), float, len(folded))
-        told = each[pairs % len(folded)] != 0
-        pairs = pairs[told]
         # spellings that fold to one word count once
         names: dict[str, int] = {}
         one = np.fromiter((names.setdefault(w, len(names)) for w in folded), np.int64, len(folded))
-        pairs = np.unique((pairs // len(folded)) * len(folded) + one[pairs % len(folded)])
-        weight = np.fromiter((model.weights.get(w, 0.0) for w in names), float, len(names))
-        x = np.bincount(pairs // len(folded), weights=weight[pairs % len(folded)], minlength=len(doc)) + model.bias
+        weight = word_weights(model, names)
+        telling = weight != 0
+        codes = one[codes]
+        keep = telling[codes]
+        pairs = np.unique(at[keep] * len(names) + codes[keep])
+        x = np.bincount(pairs // len(names), weights=weight[pairs % len(names)], minlength=len(doc)) + model.bias
     else:
         x = np.zeros(len(doc))
     return doc, x
