@@ -146,10 +146,12 @@ for _g in ("order_grid", "customer_part", "doc_line", "user_handoff"):
         f"rounds_{_g}",
         _rounds,
         f"""{states_sql(_g)},
-m AS MATERIALIZED (SELECT x.it, a.dst, w.k AS old, x.k AS new, y.k AS est FROM s x JOIN s w ON w.id = x.id AND w.it = x.it - 1 JOIN a ON a.src = x.id JOIN s y ON y.id = a.dst AND y.it = x.it WHERE x.k < w.k),
+d AS MATERIALIZED (SELECT * FROM (SELECT it, id, k AS new, lag(k) OVER (PARTITION BY id ORDER BY it) AS old FROM s) WHERE new < old),
+sent AS MATERIALIZED (SELECT d.it, a.dst, d.old, d.new FROM d JOIN a ON a.src = d.id),
+m AS MATERIALIZED (SELECT sent.it, dst, old, new, y.k AS est FROM sent JOIN s y ON y.id = sent.dst AND y.it = sent.it),
 counts AS (SELECT it, count(*) AS msgs_all, count(*) FILTER (WHERE new < est) AS msgs_lower, count(*) FILTER (WHERE new < est AND old >= est) AS msgs_support, count(DISTINCT dst) FILTER (WHERE new < est AND old >= est) AS wakes FROM m GROUP BY it),
-drops AS (SELECT x.it, count(*) AS n_changed FROM s x JOIN s w ON w.id = x.id AND w.it = x.it - 1 WHERE x.k < w.k GROUP BY x.it),
-r AS (SELECT it AS round, CASE WHEN it = 1 THEN (SELECT count(*) FROM final) ELSE coalesce((SELECT wakes FROM counts c WHERE c.it = i.it - 1), 0) END AS n_active FROM (SELECT DISTINCT it FROM s WHERE it > 0) i)
+drops AS (SELECT it, count(*) AS n_changed FROM d GROUP BY it),
+r AS (SELECT it AS round, CASE WHEN it = 1 THEN (SELECT count(*) FROM final) ELSE coalesce(wakes, 0) END AS n_active FROM (SELECT DISTINCT it FROM s WHERE it > 0) i LEFT JOIN (SELECT it + 1 AS next, wakes FROM counts) ON next = it)
 SELECT CAST(round AS BIGINT) AS round, n_active, coalesce(n_changed, 0) AS n_changed, coalesce(msgs_all, 0) AS msgs_all, coalesce(msgs_lower, 0) AS msgs_lower, coalesce(msgs_support, 0) AS msgs_support
 FROM r LEFT JOIN counts ON counts.it = round LEFT JOIN drops ON drops.it = round WHERE n_active > 0""",
     )
@@ -223,7 +225,7 @@ def _windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 # one graph whose vertices are (window, vertex): windows of seven days count from the epoch
-_WINDOWED = """WITH RECURSIVE w AS (SELECT epoch(ts) // 604800 AS g, 2 * user_id AS u, 2 * CAST(json_extract_string(props, '$.k') AS BIGINT) + 1 AS v FROM events),
+_WINDOWED = """WITH RECURSIVE w AS (SELECT CAST(floor(epoch(ts) / 604800) AS BIGINT) AS g, 2 * user_id AS u, 2 * CAST(json_extract_string(props, '$.k') AS BIGINT) + 1 AS v FROM events),
 e AS MATERIALIZED (SELECT DISTINCT g * 1000000000 + least(u, v) AS u, g * 1000000000 + greatest(u, v) AS v FROM w)"""
 register(
     "window_cores_events",
