@@ -1,13 +1,15 @@
 """Headline queries at ``$BENCH_SF_DIR`` on ``local[$BENCH_CPUS]``; prints one JSON line.
 
 Each of ``queries`` is one decomposition: the edges are written before the clock starts, as loading isn't part of the
-published times; the arcs, degrees and all rounds are. Run ``bench.py --all`` for the ablations as well.
+published times; the arcs, degrees and all rounds are. Run ``bench.py --all`` for the ablations as well, and
+``bench.py --speedup`` for one decomposition on 1, 2, 4, ... threads.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import subprocess
 import sys
 import tempfile
 import time
@@ -75,5 +77,38 @@ def main() -> None:
     print(json.dumps({"metric": "seconds of all headline decompositions", "value": round(sum(out.values()), 3), "unit": "sec", "queries": out, "sf": os.path.basename(SF_DIR.rstrip("/")), "cpus": CPUS}))
 
 
+def one(name: str) -> None:
+    """Seconds of the parallel rounds on one graph, for ``speedup``."""
+    from coreshell.operators.frontier import coreness_frontier
+    from coreshell.operators.graph import Graph
+    from coreshell.workloads.graphs import build
+
+    spark = session(CPUS)
+    g = build(spark, SF_DIR, name)
+    edges = g.store.keep(g.edges)
+    took = []
+    for _ in range(3):
+        began = time.perf_counter()
+        coreness_frontier(Graph(edges), tail="none").cores.count()
+        took.append(time.perf_counter() - began)
+    spark.stop()
+    print(json.dumps({"seconds": min(took)}))
+
+
+def speedup(name: str = "part_supplier") -> None:
+    from coreshell.operators.measures import speedup_curve
+
+    seconds, t = {}, 1
+    while t <= (os.cpu_count() or 4):
+        run = subprocess.run([sys.executable, __file__, "--one", name], env=os.environ | {"BENCH_CPUS": str(t)}, capture_output=True, text=True, check=True)
+        seconds[t], t = json.loads(run.stdout.strip().splitlines()[-1])["seconds"], 2 * t
+    print(json.dumps({"graph": name, "seconds": seconds, "speedup": {k: round(v, 2) for k, v in speedup_curve(seconds).items()}}))
+
+
 if __name__ == "__main__":
-    main()
+    if "--one" in sys.argv:
+        one(sys.argv[-1])
+    elif "--speedup" in sys.argv:
+        speedup()
+    else:
+        main()

@@ -13,20 +13,22 @@ class Block:
     """Arcs of some vertices as sorted, contiguous neighbour lists; neighbours outside keep the estimates they came with."""
 
     def __init__(self, src: np.ndarray, dst: np.ndarray, est_src: np.ndarray, est_dst: np.ndarray):
-        order = np.lexsort((dst, src))
-        src, dst, est_src, est_dst = src[order], dst[order], est_src[order], est_dst[order]
-        self.ids, first, self.size = np.unique(src, return_index=True, return_counts=True)
-        at = np.searchsorted(self.ids, dst)
-        at[at == len(self.ids)] = 0
-        inside = self.ids[at] == dst if len(self.ids) else np.zeros(0, bool)
-        rim, place = np.unique(dst[~inside], return_inverse=True)
-        frozen = np.full(len(rim), np.iinfo(np.int64).max)
-        np.minimum.at(frozen, place, est_dst[~inside])  # of several copies the lowest is the latest
+        ordered = np.sort(src)
+        self.ids = ordered[np.r_[True, ordered[1:] != ordered[:-1]]] if len(src) else src
         self.n = len(self.ids)
-        self.nbrs = np.empty(len(dst), np.int64)
-        self.nbrs[inside], self.nbrs[~inside] = at[inside], self.n + place
-        self.first = first
-        self.est = np.concatenate([est_src[first].astype(np.int64), frozen])
+        mine, other = np.searchsorted(self.ids, src), np.searchsorted(self.ids, dst)
+        other[other == self.n] = 0
+        outside = self.ids[other] != dst if self.n else np.zeros(0, bool)
+        rim, place = np.unique(dst[outside], return_inverse=True)
+        other[outside] = self.n + place
+        wide = self.n + len(rim)
+        self.est = np.full(wide, np.iinfo(np.int64).max)
+        self.est[mine] = est_src
+        np.minimum.at(self.est, other[outside], est_dst[outside])  # of several copies the lowest is the latest
+        # sorted lists in one sort of (vertex, neighbour) as one number
+        self.nbrs = np.sort(mine * wide + other) % max(1, wide)
+        self.size = np.bincount(mine, minlength=self.n)
+        self.first = np.cumsum(self.size) - self.size
         self.evals = np.zeros(self.n, np.int64)
 
     def lists(self, some: np.ndarray) -> np.ndarray:

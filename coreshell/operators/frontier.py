@@ -96,7 +96,7 @@ def in_one_task(rows: DataFrame, order: str) -> DataFrame:
         if held:
             yield from run(pa.Table.from_batches(held)).to_batches()
 
-    return rows.coalesce(1).mapInArrow(over, SETTLED)
+    return rows.repartition(1).mapInArrow(over, SETTLED)
 
 
 def surroundings(arcs: DataFrame, active: DataFrame, n: int, hops: int) -> DataFrame:
