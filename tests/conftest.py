@@ -4,6 +4,8 @@ import pytest
 from pyspark.sql import SparkSession
 
 os.environ.setdefault("TZ", "UTC")
+ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+os.environ["PYTHONPATH"] = os.pathsep.join(filter(None, [ROOT, os.environ.get("PYTHONPATH")]))  # for the workers
 
 
 @pytest.fixture(scope="session")
