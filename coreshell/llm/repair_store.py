@@ -29,12 +29,12 @@ from coreshell.llm.shared import id_and_text, plain, shared_dir, slices, stored,
 
 SHARD_IDS = 1 << 20
 #: Bytes of text whose distinct words are encoded together.
-ENCODED_BYTES = 24 << 20
+ENCODED_BYTES = 14 << 20
 #: Pairs are counted in two to this power hashed bins.
 BIN_BITS = 18
 SCHEMA = "part int, seq int, n_docs long, n_ids long, ids_before long, doc_ids binary, no_id binary, doc_lens binary, rules binary, rule_lens binary, low binary, high binary"
 #: Words that a worker remembers at most.
-REMEMBERED = 1_000_000
+REMEMBERED = 800_000
 #: Two white-space characters side by side (Unicode's property White_Space).
 SPACES = r"[\s\x0b\x{85}\p{Z}][\s\x0b\x{85}\p{Z}]"
 
@@ -91,7 +91,7 @@ def gathered(pool: np.ndarray, begin: np.ndarray, size: np.ndarray, block: int =
     for i in range(0, len(size), block):
         n, e = size[i : i + block], ends[i : i + block]
         first = int(e[0] - n[0])
-        at = np.repeat(begin[i : i + block] - e + n + first, n)
+        at = np.repeat(begin[i : i + block].astype(np.int64) - e + n + first, n)
         at += np.arange(len(at))
         out[first : first + len(at)] = pool[at]
     return out
@@ -150,7 +150,7 @@ class Encoder:
 
     def _forget(self) -> None:
         self.known: dict[str, int] = {}
-        self.begin, self.size = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64)
+        self.begin, self.size = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int32)
         self.pool, self.used = np.zeros(1 << 18, np.uint32), 0
 
     def _encode(self, texts: list[str]) -> list[np.ndarray]:
@@ -185,7 +185,7 @@ class Encoder:
             self._learn([words[i] for i in lack])
             for i in lack:
                 places[i] = self.known[words[i]]
-        return np.array(places, np.int64)
+        return np.array(places, np.int32)
 
     def encode(self, texts: pa.Array, end_id: int | None = None, most: int = SHARD_IDS) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
         """(first text, text after the last, their ids in a row, ids in each) of groups of about ``most`` ids; ``end_id`` is put behind each text."""
@@ -208,8 +208,9 @@ class Encoder:
         extra = [*self._encode([words[i] for i in heads]), *whole, np.array([] if end_id is None else [end_id], np.uint32)]
         place = self._places(words)[codes]
         size, begin = self.size[place], self.begin[place]
-        own = np.fromiter((len(x) for x in extra), np.int64, len(extra))
-        at = self.used + np.cumsum(own) - own
+        own = np.fromiter((len(x) for x in extra), np.int32, len(extra))
+        at = (self.used + np.cumsum(own) - own).astype(np.int32)
+        del place, codes, coded
         size[first], begin[first] = own[slot], at[slot]
         pool = np.concatenate([self.pool[: self.used], *extra])
         n = len(heads)
