@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 
-from coreshell.llm.shared import id_and_text, over_slices, strings, word_codes
+from coreshell.llm.shared import id_and_text, memory, over_slices, strings, word_codes
 
 #: Words whose counts a worker remembers at most; beyond it the memory starts anew.
 REMEMBERED = 400_000
@@ -100,14 +100,12 @@ class MergeCounter:
         return n
 
 
-_counters: dict[str, MergeCounter] = {}
-
-
 def counter(path: str) -> MergeCounter:
     """One counter for each vocabulary file and Python worker."""
-    if path not in _counters:
-        _counters[path] = MergeCounter(path)
-    return _counters[path]
+    known = memory("merges")
+    if path not in known:
+        known[path] = MergeCounter(path)
+    return known[path]
 
 
 def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048) -> DataFrame:
@@ -128,4 +126,4 @@ def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048) -> DataFra
             n[i] = merges.count(texts[int(i)].as_py())
         return pa.record_batch([batch.column(0), pc.cast(pc.binary_length(texts), pa.int64()), pa.array(n), pa.array(n > limit)], names=["doc_id", "n_bytes", "n_tokens", "over_limit"])
 
-    return over_slices(id_and_text(docs), kernel, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
+    return over_slices(id_and_text(docs), kernel, "doc_id long, n_bytes long, n_tokens long, over_limit boolean", uses="merges")

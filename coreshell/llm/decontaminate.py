@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, over_slices
+from coreshell.llm.shared import id_and_text, memory, over_slices
 
 ERROR_RATE = 0.06
 #: Shortest piece, and so the shortest item that can match, in characters.
@@ -138,9 +138,6 @@ class Matcher:
         return sorted(set(out), key=lambda r: (r[2], r[3], r[0]))
 
 
-_matchers: dict[str, Matcher] = {}
-
-
 def item_blocks(benchmark: DataFrame, block_chars: int = BLOCK_CHARS) -> Iterator[list[tuple[int, str]]]:
     """Items in blocks of bounded size; null texts are none."""
     block, held = [], 0
@@ -158,10 +155,11 @@ def _hits(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> D
     key = uuid.uuid4().hex
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        if key not in _matchers:
-            _matchers.clear()
-            _matchers[key] = Matcher(items, error_rate)
-        matcher, rows = _matchers[key], []
+        known, rows = memory("matcher"), []
+        if key not in known:
+            known.clear()
+            known[key] = Matcher(items, error_rate)
+        matcher = known[key]
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             if found := matcher.find(folded(text)):
                 places = folded_places(text)[1]
@@ -169,7 +167,7 @@ def _hits(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> D
         columns = zip(*rows, strict=True) if rows else [[]] * 5
         return pa.record_batch([pa.array(list(c), pa.int64()) for c in columns], names=["doc_id", "item_id", "distance", "start", "end"])
 
-    return over_slices(id_and_text(docs), kernel, "doc_id long, item_id long, distance long, start long, end long")
+    return over_slices(id_and_text(docs), kernel, "doc_id long, item_id long, distance long, start long, end long", uses="matcher")
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE) -> DataFrame:

@@ -70,10 +70,23 @@ def slices(batches: Iterator[pa.RecordBatch], column: int = 1, most: int = SLICE
             yield batch.slice(a, b - a)
 
 
-def over_slices(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, most: int = SLICE_BYTES) -> DataFrame:
-    """``kernel`` over slices of bounded size of ``df`` (the text is the second column)."""
+#: What a Python worker remembers between tasks, by the operator that uses it.
+MEMORIES: dict[str, dict] = {}
+
+
+def memory(name: str) -> dict:
+    """The memory of one operator; those of others are given up, as workers outlive the stage that filled them."""
+    for other, held in MEMORIES.items():
+        if other != name:
+            held.clear()
+    return MEMORIES.setdefault(name, {})
+
+
+def over_slices(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, most: int = SLICE_BYTES, uses: str = "") -> DataFrame:
+    """``kernel`` over slices of bounded size of ``df`` (the text is the second column); it uses the memory named ``uses``."""
 
     def run(batches):
+        memory(uses)
         for part in slices(batches, most=most):
             out = kernel(part)
             if out.num_rows:
