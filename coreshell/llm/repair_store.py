@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, plain, shared_dir, slices, stored, strings
+from coreshell.llm.shared import id_and_text, memory, plain, shared_dir, slices, stored, strings
 
 SHARD_IDS = 1 << 20
 #: Bytes of text whose distinct words are encoded together.
@@ -34,7 +34,7 @@ ENCODED_BYTES = 14 << 20
 BIN_BITS = 18
 SCHEMA = "part int, seq int, n_docs long, n_ids long, ids_before long, doc_ids binary, no_id binary, doc_lens binary, rules binary, rule_lens binary, low binary, high binary"
 #: Words that a worker remembers at most.
-REMEMBERED = 800_000
+REMEMBERED = 1_000_000
 #: Two white-space characters side by side (Unicode's property White_Space).
 SPACES = r"[\s\x0b\x{85}\p{Z}][\s\x0b\x{85}\p{Z}]"
 
@@ -149,43 +149,48 @@ class Encoder:
         self._forget()
 
     def _forget(self) -> None:
-        self.known: dict[str, int] = {}
-        self.begin, self.size = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int32)
+        self.known = pa.array([], pa.string())
+        self.begin, self.size = np.zeros(0, np.int32), np.zeros(0, np.int32)
         self.pool, self.used = np.zeros(1 << 18, np.uint32), 0
 
     def _encode(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, words: list[str]) -> None:
+    def _learn(self, words: pa.Array) -> None:
         """Put the ids of words not yet known into the pool: each with the space before it, or with its own line break."""
-        inner = [w for w in words if w and w.strip() == w]
-        odd = [w for w in words if not w or w.strip() != w]
-        ids = [np.concatenate([*self._encode([" " + " ".join(inner[a : a + 2000]) for a in range(0, len(inner), 2000)]), np.zeros(0, np.uint32)])]
-        wide = pc.binary_length(pa.array(inner, pa.string())).to_numpy(zero_copy_only=False).astype(np.int64) + 1
-        sizes = np.diff(np.r_[0, np.searchsorted(np.cumsum(self.width[ids[0]]), np.cumsum(wide)) + 1])
-        if odd:
-            more = self._encode([w if w[:1] == "\n" else " " + w for w in odd])
-            ids += more
-            sizes = np.r_[sizes, [len(x) for x in more]]
-        n, ids = len(self.known), np.concatenate(ids)
+        bare = pc.and_(pc.equal(pc.utf8_trim_whitespace(words), words), pc.not_equal(words, "")).to_numpy(zero_copy_only=False)
+        inner = words.filter(pa.array(bare))
+        cuts = np.r_[np.arange(0, len(inner), 2000), len(inner)].astype(np.int32)
+        rows = strings(pc.binary_join(pa.ListArray.from_arrays(pa.array(cuts), inner), " "))
+        ids = [*self._encode([" " + x for x in rows]), np.zeros(0, np.uint32)]
+        ids = [np.concatenate(ids)]
+        wide = pc.binary_length(inner).to_numpy(zero_copy_only=False).astype(np.int64) + 1
+        size = np.zeros(len(words), np.int32)
+        size[bare] = np.diff(np.r_[0, np.searchsorted(np.cumsum(self.width[ids[0]]), np.cumsum(wide)) + 1])
+        begin = np.zeros(len(words), np.int64)
+        begin[bare] = np.cumsum(size[bare]) - size[bare]
+        if not bare.all():
+            odd = self._encode([w if w[:1] == "\n" else " " + w for w in strings(words.filter(pa.array(~bare)))])
+            size[~bare] = [len(x) for x in odd]
+            begin[~bare] = len(ids[0]) + np.cumsum(size[~bare]) - size[~bare]
+            ids += odd
+        ids = np.concatenate(ids)
         while self.used + len(ids) > len(self.pool):
             self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
-        while n + len(words) > len(self.begin):
-            self.begin, self.size = (np.concatenate([x, np.zeros_like(x)]) for x in (self.begin, self.size))
         self.pool[self.used : self.used + len(ids)] = ids
-        self.size[n : n + len(words)] = sizes
-        self.begin[n : n + len(words)] = self.used + np.cumsum(sizes) - sizes
+        self.begin, self.size = np.concatenate([self.begin, (self.used + begin).astype(np.int32)]), np.concatenate([self.size, size])
         self.used += len(ids)
-        self.known.update(zip(inner + odd, range(n, n + len(words)), strict=True))
-
-    def _places(self, words: list[str]) -> np.ndarray:
-        places = list(map(self.known.get, words))
-        lack = [i for i, x in enumerate(places) if x is None]
-        if lack:
-            self._learn([words[i] for i in lack])
-            for i in lack:
-                places[i] = self.known[words[i]]
-        return np.array(places, np.int32)
+        self.known = pa.concat_arrays([self.known, words])
+
+    def _places(self, words: pa.Array) -> np.ndarray:
+        """Where each of the distinct ``words`` is among the known ones."""
+        places = pc.index_in(words, value_set=self.known)
+        lack = places.is_null().to_numpy(zero_copy_only=False)
+        out = pc.fill_null(places, 0).to_numpy(zero_copy_only=False).copy()
+        if lack.any():
+            out[lack] = len(self.known) + np.arange(int(lack.sum()))
+            self._learn(words.filter(pa.array(lack)))
+        return out
 
     def encode(self, texts: pa.Array, end_id: int | None = None, most: int = SHARD_IDS) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
         """(first text, text after the last, their ids in a row, ids in each) of groups of about ``most`` ids; ``end_id`` is put behind each text."""
@@ -202,10 +207,10 @@ class Encoder:
         coded = lists.flatten().dictionary_encode()
         first = np.zeros(len(coded), bool)
         first[offsets[:-1][np.diff(offsets) > 0]] = True
-        words, codes = strings(coded.dictionary), coded.indices.to_numpy(zero_copy_only=False)
+        words, codes = coded.dictionary, coded.indices.to_numpy(zero_copy_only=False)
         heads, slot = np.unique(codes[first], return_inverse=True)
         # ids that aren't of a word behind a space stand behind the pool: first words of texts, whole texts, the end
-        extra = [*self._encode([words[i] for i in heads]), *whole, np.array([] if end_id is None else [end_id], np.uint32)]
+        extra = [*self._encode(strings(words.take(pa.array(heads)))), *whole, np.array([] if end_id is None else [end_id], np.uint32)]
         place = self._places(words)[codes]
         size, begin = self.size[place], self.begin[place]
         own = np.fromiter((len(x) for x in extra), np.int32, len(extra))
@@ -232,13 +237,12 @@ class Encoder:
             yield a, b, gathered(pool, begin[i:j], size[i:j]), lens[a:b]
 
 
-_encoders: dict[str, Encoder] = {}
-
-
 def encoder(path: str) -> Encoder:
-    if path not in _encoders:
-        _encoders[path] = Encoder(path)
-    return _encoders[path]
+    """One encoder for each vocabulary file and Python worker."""
+    known = memory("encoder")
+    if path not in known:
+        known[path] = Encoder(path)
+    return known[path]
 
 
 # --- files -----------------------------------------------------------------
