@@ -274,6 +274,29 @@ def test_losses_equal_brute_force(spark, odd, empty):
     assert lm_difference.score(empty, ids).count() == 0
 
 
+def test_the_vocabulary_grows_with_the_corpus(spark):
+    # every word twice, in each of 60,000: none has 2e-5 of all tokens
+    rows = [(i, " ".join(f"w{k}" for k in range(600 * (i % 100), 600 * (i % 100) + 600)), "s") for i in range(200)] + [(900, "once only", "s")]
+    docs = documents(spark, rows)
+    words, n = lm_difference.vocabulary(lm_difference.chunked(docs))
+    ids = np.concatenate([lm_difference.unpacked(r.blob, 2)[0] for r in words.collect()])
+    assert n == 60000 == len(set(ids.tolist()) - {0})
+    target = spark.createDataFrame([(5,)], "doc_id long")
+    found = {r.doc_id: r for r in lm_difference.score(docs, target).collect()}
+    assert found[5].difference < found[6].difference and found[105].difference == pytest.approx(found[5].difference)
+
+
+def test_chunks_share_their_counts(spark, monkeypatch):
+    rows = [(i, prose(i % 7, 30) + " " + prose(i, 10), "s") for i in range(40)]
+    ids = spark.createDataFrame([(i,) for i in range(0, 40, 3)], "doc_id long")
+    monkeypatch.setattr(lm_difference, "CHUNK_WORDS", 1)
+    monkeypatch.setattr(lm_difference, "BUCKET_KEYS", 100)
+    found = {r.doc_id: r for r in lm_difference.score(documents(spark, rows).repartition(9), ids, prior=5.0).collect()}
+    n = sum(len(t.split()) for _, t, _ in rows)
+    for i, k, t, b in brute_losses(rows, set(range(0, 40, 3)), 2 / n, 5.0):
+        assert (found[i].n_words, found[i].target_loss, found[i].background_loss) == (k, pytest.approx(t, abs=1e-9), pytest.approx(b, abs=1e-9))
+
+
 # --- the pipeline -----------------------------------------------------------------------
 
 
