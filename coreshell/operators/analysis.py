@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from coreshell.functions.hindex import h_index_rank
 from coreshell.operators.graph import Graph
-from coreshell.operators.peel import peel_bucket, peel_levels
+from coreshell.operators.peel import LOCAL_ARCS, peel_bucket, peel_levels
 from coreshell.plans.rounds import Store
 
 
@@ -59,9 +59,11 @@ def shell_histogram(cores: DataFrame) -> DataFrame:
     return shells.withColumn("n_core", above)
 
 
-def core_layers(g: Graph, local: bool = True) -> DataFrame:
-    """``id, coreness, layer``: the order in which peeling removes vertices."""
-    return (peel_bucket(g) if local else peel_levels(g)).stats["layers"]
+def core_layers(g: Graph, local: bool | None = None, local_arcs: int = LOCAL_ARCS) -> DataFrame:
+    """``id, coreness, layer``: the order in which peeling removes vertices. In one task (``local``) up to ``local_arcs`` arcs, else level by level."""
+    if local is None:
+        local = g.size()[1] <= local_arcs
+    return (peel_bucket(g, local_arcs) if local else peel_levels(g)).stats["layers"]
 
 
 def peel_order(layers: DataFrame) -> DataFrame:

@@ -139,6 +139,12 @@ def test_measures(spark):
     assert M.time_method(lambda: coreness(g), 2)["mean"] > 0
 
 
+def test_layers_beyond_one_task(spark):
+    g = graph(spark, CLIQUE_PATH)
+    few = A.core_layers(g, local_arcs=3)  # fewer than the graph has
+    assert sorted(map(tuple, few.collect())) == sorted(map(tuple, A.core_layers(g).collect()))
+
+
 def test_analysis(spark):
     g = graph(spark, CLIQUE_PATH)
     cores = coreness(g).cores
