@@ -15,9 +15,8 @@ from collections.abc import Iterator
 import ahocorasick
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, memory, over_slices
+from coreshell.llm.shared import id_and_text, memory, over_slices, slices, stored
 
 ERROR_RATE = 0.06
 #: Shortest piece, and so the shortest item that can match, in characters.
@@ -170,6 +169,23 @@ def _hits(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> D
     return over_slices(id_and_text(docs), kernel, "doc_id long, item_id long, distance long, start long, end long", uses="matcher")
 
 
+def _without(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> DataFrame:
+    key, where = uuid.uuid4().hex, docs.columns.index("text")
+
+    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
+        known = memory("matcher")
+        if key not in known:
+            known.clear()
+            known[key] = Matcher(items, error_rate)
+        return batch.filter(pa.array([not known[key].find(folded(t or "")) for t in batch.column(where).to_pylist()], pa.bool_()))
+
+    def run(batches):
+        for part in slices(batches, column=where):
+            yield kernel(part)
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def leaks(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE) -> DataFrame:
     """``doc_id, item_id, distance, start, end`` of every place where a document holds an item within its budget of edits.
 
@@ -184,6 +200,9 @@ def leaks(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE) -> DataFrame:
-    """The rows of ``docs`` that hold no item, with their columns."""
-    bad = leaks(docs, benchmark, error_rate).select(F.col("doc_id").alias("__leaking")).distinct()
-    return docs.join(bad, docs["doc_id"].cast("long").eqNullSafe(F.col("__leaking")), "left_anti")
+    """The rows of ``docs`` that hold no item, with their columns; each row stays or goes by its own text, whatever its doc_id."""
+    out = docs
+    for i, block in enumerate(item_blocks(benchmark)):
+        # one block's matcher at a time in a worker
+        out = _without(stored(out, "clean") if i else out, block, error_rate)
+    return out

@@ -142,6 +142,16 @@ def test_leaks_equal_brute_force(spark, empty):
     assert len(list(decontaminate.item_blocks(benchmark, 100))) > 3
 
 
+def test_rows_are_judged_by_their_own_text(spark):
+    item = prose(2000, 25)
+    benchmark = spark.createDataFrame([(1, item), (2, prose(2001, 25))], "item_id long, text string")
+    rows = [(None, item, "s"), (None, "clean without id", "s"), (7, "x " + item, "s"), (7, "clean of the same id", "s"), (8, None, "s")]
+    docs = documents(spark, rows)
+    left = decontaminate.clean(docs, benchmark)
+    assert left.columns == docs.columns and {r.text for r in left.collect()} == {"clean without id", "clean of the same id", None}
+    assert decontaminate.clean(docs, benchmark.limit(0)).count() == len(rows)
+
+
 # --- mixing ----------------------------------------------------------------------
 
 
