@@ -89,13 +89,8 @@ def document_sizes(docs: DataFrame, seed: int) -> DataFrame:
     )
 
 
-def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 17) -> DataFrame:
-    """``doc_id, size, source_size, target, taken`` of every document; ``taken`` is 0, 1 or 2 times its size.
-
-    A source whose target exceeds its size is taken whole first. Null texts have size 0; a null source is a source of
-    its own, the last. Repeated rows are taken one by one. Among equal doc_ids of equal length any may be taken, which
-    gives the same rows.
-    """
+def dealt_times(docs: DataFrame, weights: Sequence[float], share: float, most: float, seed: int) -> DataFrame:
+    """The columns of ``mix``, and ``times``: how often each document is taken."""
     spark = docs.sparkSession
     sizes = stored(document_sizes(docs, seed), "sizes")
     by_source = sizes.groupBy("source").agg(F.sum("size").alias("n")).limit(MOST_SOURCES + 1).collect()
@@ -130,15 +125,27 @@ def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.
     times = F.col("whole") + F.coalesce(once_more, F.lit(False)).cast("int")
     known = F.broadcast(known.withColumnRenamed("source", "s"))  # at most MOST_SOURCES rows
     out = chosen.drop("s").join(known, F.col("source").eqNullSafe(F.col("s")))
-    return out.select("doc_id", "size", "source_size", "target", (times * F.col("size")).cast("long").alias("taken"))
+    return out.select("doc_id", "size", "source_size", "target", (times * F.col("size")).cast("long").alias("taken"), times.alias("times"))
+
+
+def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 17) -> DataFrame:
+    """``doc_id, size, source_size, target, taken`` of every document; ``taken`` is 0, 1 or 2 times its size.
+
+    A source whose target exceeds its size is taken whole first. Null texts have size 0; a null source is a source of
+    its own, the last. Repeated rows are taken one by one. Among equal doc_ids of equal length any may be taken, which
+    gives the same rows.
+    """
+    return dealt_times(docs, weights, share, most, seed).drop("times")
 
 
 def mixed_documents(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), share: float = 1.5, most: float = 2.0, seed: int = 17) -> DataFrame:
     """The rows of ``docs`` as often as the mix takes them, with the columns of ``docs``.
 
-    Rows of equal doc_id are taken by that id: as often as the mix takes words of it, dealt over its rows.
+    Rows of equal doc_id are taken by that id: as often as the mix takes words of it, dealt over its rows. Documents of
+    size 0 cost nothing: they are taken in proportion like any length, and as often as a source that is taken whole.
     """
-    taken = mix(docs, weights, share, most, seed).groupBy("doc_id").agg((F.sum("taken") / F.greatest(F.lit(1), F.sum("size"))).alias("ratio"))
+    ratio = F.when(F.sum("size") > 0, F.sum("taken") / F.sum("size")).otherwise(F.avg("times"))
+    taken = dealt_times(docs, weights, share, most, seed).groupBy("doc_id").agg(ratio.alias("ratio"))
     taken = taken.select(F.col("doc_id").alias("__mixed_id"), F.round("ratio").cast("int").alias("__times")).where("__times > 0")
     joined = docs.join(taken, docs["doc_id"].cast("long").eqNullSafe(F.col("__mixed_id")))
     copies = joined.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__times"))))

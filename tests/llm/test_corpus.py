@@ -204,6 +204,12 @@ def test_mix(spark, odd, empty):
     assert budget_mix.mix(empty).count() == 0
 
 
+def test_documents_of_size_zero_are_mixed_too(spark):
+    rows = [(0, None, "a"), (1, " ", "a"), (2, "w w", "a")] + [(i, "w " * 9, "b") for i in range(10, 40)]
+    copies = Counter(x.doc_id for x in budget_mix.mixed_documents(documents(spark, rows)).collect())
+    assert copies[0] == copies[1] == copies[2] == 2  # a small source is taken twice
+
+
 # --- toxicity ----------------------------------------------------------------------
 
 
