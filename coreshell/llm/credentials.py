@@ -102,11 +102,11 @@ def scan(docs: DataFrame, scope: int = SCOPE) -> DataFrame:
     """``doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_added`` of every document.
 
     Positions are code points, ends exclusive; spans stand by start, then kind. A text without spans has the digest of
-    the empty text and an empty list. Rows are scanned one by one; null texts are empty.
+    the empty text and an empty list. Rows are scanned one by one, and told apart by 128 bits of a hash; null texts are empty.
     """
     text = F.col("text")
     kinds = [k for k, *_ in BASE]
-    found = id_and_text(docs).select("doc_id", F.xxhash64("doc_id", "text").alias("key"), *base_spans(text), weak_spans(text).alias("weak"))
+    found = id_and_text(docs).select("doc_id", F.struct(F.xxhash64("doc_id", "text").alias("low"), F.xxhash64(F.lit(7), "text", "doc_id").alias("high")).alias("key"), *base_spans(text), weak_spans(text).alias("weak"))
     found = found.select("doc_id", "key", *[F.size(k).cast("long").alias(f"n_{k}") for k in kinds], F.array_sort(F.concat(*kinds)).alias("base"), "weak")
     found = stored(found, "spans")
     added = linked(found.select("key", "base", "weak"), scope).withColumnRenamed("key", "of")
