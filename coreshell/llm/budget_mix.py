@@ -7,6 +7,7 @@ length are taken follows from a seeded hash.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 import pandas as pd
@@ -18,8 +19,8 @@ from coreshell.llm.shared import stored
 
 #: Sources are named groups (one row each on the driver); more are refused.
 MOST_SOURCES = 100_000
-#: Remaining budget, in words, that the exact programme fills; the bulk before it is taken in proportion.
-EXACT_WORDS = 1 << 16
+#: Times the longest document's words that the proportional part leaves to the programme.
+LEFT_LENGTHS = 16
 #: Documents of one source and length are dealt into at most this many groups by their hash.
 MOST_GROUPS = 4096
 WORD = r"[^\x20\x09-\x0D]+"
@@ -44,38 +45,42 @@ def targets(sizes: dict[str | None, int], weights: Sequence[float] = (5, 2, 1),
     return out
 
 
-def fit(lengths: Sequence[int], counts: Sequence[int], budget: int, exact: int = EXACT_WORDS) -> list[int]:
+def fit(lengths: Sequence[int], counts: Sequence[int], budget: int) -> list[int]:
     """How many documents of each length to take (at most its count) for a sum as near below ``budget`` as can be.
 
-    The bulk is taken in proportion, so that a mix keeps the source's lengths; then the longest that fit until ``exact``
-    words are left; those are filled by a bounded knapsack over reachable sums (one big integer as a bit set, each
-    count split into powers of two), which stops as soon as the budget itself is reached.
+    All but ``LEFT_LENGTHS`` times the longest length is taken in proportion, so that a mix keeps the source's lengths;
+    what a length falls short of its share by is carried on to the next shorter one. The whole rest of the budget is
+    filled by a bounded knapsack over reachable sums (one big integer as a bit set, each count split into powers of two),
+    shorter lengths first, which stops as soon as the budget itself is reached. Documents of length 0 are taken in proportion.
     """
     total = sum(length * n for length, n in zip(lengths, counts, strict=True))
     if budget >= total:
         return list(counts)
-    taken = [n * budget // total for n in counts]
-    left = budget - sum(length * k for length, k in zip(lengths, taken, strict=True))
     order = sorted((i for i in range(len(lengths)) if lengths[i] > 0), key=lambda i: -lengths[i])
+    bulk = max(0, budget - LEFT_LENGTHS * lengths[order[0]])
+    taken = [n * budget // total if not length else 0 for length, n in zip(lengths, counts, strict=True)]
+    passed = used = 0
     for i in order:
-        if left > exact:
-            k = min(counts[i] - taken[i], (left - exact) // lengths[i])
-            taken[i] += k
-            left -= k * lengths[i]
+        passed += lengths[i] * counts[i]
+        taken[i] = min(counts[i], (bulk * passed // total - used) // lengths[i])
+        used += taken[i] * lengths[i]
+    unit = math.gcd(*(lengths[i] for i in order))
+    left = (budget - used) // unit  # nothing but multiples of the lengths' common divisor can be reached
     sums, steps = [1], []
     mask = (1 << (left + 1)) - 1
-    for i in order:
-        spare, power = min(counts[i] - taken[i], left // lengths[i]), 1
+    for i in reversed(order):
+        length = lengths[i] // unit
+        spare, power = min(counts[i] - taken[i], left // length), 1
         while spare > 0 and not sums[-1] >> left & 1:
             k = min(power, spare)
             steps.append((i, k))
-            sums.append((sums[-1] | sums[-1] << k * lengths[i]) & mask)
+            sums.append((sums[-1] | sums[-1] << k * length) & mask)
             spare, power = spare - k, power * 2
     at = sums[-1].bit_length() - 1
     for (i, k), before in zip(reversed(steps), reversed(sums[:-1]), strict=True):
         if not before >> at & 1:
             taken[i] += k
-            at -= k * lengths[i]
+            at -= k * (lengths[i] // unit)
     return taken
 
 
