@@ -3,6 +3,10 @@
 A test item of m characters may lie in a text with up to k = m * ``error_rate`` edits. Cut into k + 1 pieces, at least
 one piece is there unharmed: all pieces of all items form one automaton that finds exact hits in a single pass, and
 each hit's surroundings are verified by Myers' bit-parallel edit distance. Case and white space are folded first.
+
+The automaton is made of blocks of items of bounded size, which are broadcast; a benchmark of several blocks (4 million
+characters each) takes as many passes of the documents. Rows of text are never shuffled: joining rolling hashes of all
+pieces' lengths instead would exchange several rows for each character of the corpus.
 """
 
 from __future__ import annotations
@@ -10,7 +14,7 @@ from __future__ import annotations
 import uuid
 from bisect import bisect_right
 from collections import defaultdict
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import ahocorasick
 import pyarrow as pa
@@ -19,7 +23,7 @@ from pyspark.sql import DataFrame
 from coreshell.llm.shared import id_and_text, memory, over_slices, slices, stored
 
 ERROR_RATE = 0.06
-#: Shortest piece, and so the shortest item that can match, in characters.
+#: Shortest piece in characters; an item shorter than that must be there without an edit, as whole words.
 LEAST_PIECE = 8
 #: Characters of items in one automaton; more items are searched for in further passes.
 BLOCK_CHARS = 4 << 20
@@ -89,7 +93,7 @@ class Matcher:
         self.items, pieces = [], defaultdict(list)
         for item_id, text in items:
             t = folded(text)
-            if (m := len(t)) < LEAST_PIECE:
+            if not (m := len(t)):
                 continue
             k = budget(m, error_rate)
             for i in range(k + 1):
@@ -121,9 +125,13 @@ class Matcher:
             while todo:
                 # an occurrence can't overlap another that starts more than its length away
                 stretch = [todo[0]]
-                while len(stretch) < len(todo) and todo[len(stretch)] - stretch[-1] <= 2 * k and todo[len(stretch)] - stretch[0] < m:
+                while m >= LEAST_PIECE and len(stretch) < len(todo) and todo[len(stretch)] - stretch[-1] <= 2 * k and todo[len(stretch)] - stretch[0] < m:
                     stretch.append(todo[len(stretch)])
                 todo = todo[len(stretch) :]
+                if m < LEAST_PIECE:
+                    whole = [p for p in stretch if text[p - 1 : p] in ("", " ") and text[p + m : p + m + 1] in ("", " ")]
+                    out += [(item_id, 0, p, p + m) for p in whole]
+                    continue
                 exact = next((p for p in stretch if p >= 0 and text.startswith(pattern, p)), None)
                 if exact is not None:
                     out.append((item_id, 0, exact, exact + m))
@@ -150,15 +158,25 @@ def item_blocks(benchmark: DataFrame, block_chars: int = BLOCK_CHARS) -> Iterato
         yield block
 
 
-def _hits(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> DataFrame:
-    key = uuid.uuid4().hex
+def _shared_matcher(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> Callable[[], Matcher]:
+    """What gives a worker its matcher over one block of items, which is broadcast once to each executor."""
+    key, shared = uuid.uuid4().hex, docs.sparkSession.sparkContext.broadcast(items)
 
-    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        known, rows = memory("matcher"), []
+    def get() -> Matcher:
+        known = memory("matcher")
         if key not in known:
             known.clear()
-            known[key] = Matcher(items, error_rate)
-        matcher = known[key]
+            known[key] = Matcher(shared.value, error_rate)
+        return known[key]
+
+    return get
+
+
+def _hits(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> DataFrame:
+    matcher_of = _shared_matcher(docs, items, error_rate)
+
+    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
+        matcher, rows = matcher_of(), []
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             if found := matcher.find(folded(text)):
                 places = folded_places(text)[1]
@@ -170,14 +188,11 @@ def _hits(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> D
 
 
 def _without(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -> DataFrame:
-    key, where = uuid.uuid4().hex, docs.columns.index("text")
+    matcher_of, where = _shared_matcher(docs, items, error_rate), docs.columns.index("text")
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        known = memory("matcher")
-        if key not in known:
-            known.clear()
-            known[key] = Matcher(items, error_rate)
-        return batch.filter(pa.array([not known[key].find(folded(t or "")) for t in batch.column(where).to_pylist()], pa.bool_()))
+        find = matcher_of().find
+        return batch.filter(pa.array([not find(folded(t or "")) for t in batch.column(where).to_pylist()], pa.bool_()))
 
     def run(batches):
         for part in slices(batches, column=where):
@@ -189,8 +204,9 @@ def _without(docs: DataFrame, items: list[tuple[int, str]], error_rate: float) -
 def leaks(docs: DataFrame, benchmark: DataFrame, error_rate: float = ERROR_RATE) -> DataFrame:
     """``doc_id, item_id, distance, start, end`` of every place where a document holds an item within its budget of edits.
 
-    Positions are code points of the text, the end exclusive. Items of fewer than eight folded characters and null items
-    match nothing; null texts hold nothing; repeated rows and items give repeated rows.
+    Positions are code points of the text, the end exclusive. Items of fewer than eight folded characters match as whole
+    words without edits; empty and null items match nothing; null texts hold nothing; repeated rows and items give
+    repeated rows.
     """
     out = None
     for block in item_blocks(benchmark):

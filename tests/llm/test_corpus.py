@@ -142,6 +142,13 @@ def test_leaks_equal_brute_force(spark, empty):
     assert len(list(decontaminate.item_blocks(benchmark, 100))) > 3
 
 
+def test_short_items_match_as_whole_words(spark):
+    benchmark = spark.createDataFrame([(1, "Ab  cd"), (2, "é"), (3, "  ")], "item_id long, text string")
+    rows = [(1, "x ab cd", "s"), (2, "xab cd y ab cdx", "s"), (3, "AB\nCD, no; É ab cd ab cd", "s"), (4, "ab c d", "s")]
+    found = sorted((r.doc_id, r.item_id, r.start, r.end) for r in decontaminate.leaks(documents(spark, rows), benchmark).collect())
+    assert found == [(1, 1, 2, 7), (3, 1, 13, 18), (3, 1, 19, 24), (3, 2, 11, 12)]
+
+
 def test_rows_are_judged_by_their_own_text(spark):
     item = prose(2000, 25)
     benchmark = spark.createDataFrame([(1, item), (2, prose(2001, 25))], "item_id long, text string")
@@ -164,20 +171,31 @@ def test_targets():
 
 def test_fit_is_optimal():
     r = random.Random(1)
-    for _ in range(200):
-        lengths = r.sample(range(1, 40), r.randint(1, 5))
-        counts = [r.randint(0, 4) for _ in lengths]
+    for _ in range(400):
+        lengths = r.sample(range(0, 40), r.randint(1, 6))
+        counts = [r.randint(0, 6) for _ in lengths]
         total = sum(a * b for a, b in zip(lengths, counts))
         budget = r.randint(0, total + 3)
         k = budget_mix.fit(lengths, counts, budget)
         assert all(0 <= x <= n for x, n in zip(k, counts))
-        assert sum(a * x for a, x in zip(lengths, k)) <= budget
-        # what is left can't be filled by documents that the proportional part leaves over
-        start = [n * budget // total for n in counts] if total and budget < total else [0] * len(counts)
-        sums = {sum(a * b for a, b in zip(lengths, start))}
-        for length, n, s in zip(lengths, counts, start):
-            sums = {x + length * i for x in sums for i in range(n - s + 1)}
-        assert sum(a * x for a, x in zip(lengths, k)) == max(x for x in sums if x <= budget)
+        found = sum(a * x for a, x in zip(lengths, k))
+        assert found <= budget
+        sums = {0}
+        for length, n in zip(lengths, counts):
+            sums = {x + length * i for x in sums for i in range(n + 1)}
+        if budget <= budget_mix.LEFT_LENGTHS * max(lengths):  # all of it is the programme's
+            assert found == max(x for x in sums if x <= budget)
+
+
+def test_fit_keeps_lengths_in_proportion():
+    lengths, counts = list(range(1, 200)), [5000 // (i + 1) + 1 for i in range(199)]
+    total = sum(a * b for a, b in zip(lengths, counts))
+    k = budget_mix.fit(lengths, counts, total // 3)
+    assert sum(a * x for a, x in zip(lengths, k)) == total // 3
+    few, many = sum(a * x for a, x in zip(lengths[:100], k)), sum(a * x for a, x in zip(lengths[:100], counts))
+    assert abs(few / many - 1 / 3) < 0.05
+    # a budget that no sum can reach
+    assert sum(6 * a * x for a, x in zip(lengths, budget_mix.fit([6 * a for a in lengths], counts, 2 * total + 5))) == (2 * total + 5) // 6 * 6
 
 
 def test_mix(spark, odd, empty):
