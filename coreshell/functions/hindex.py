@@ -10,15 +10,24 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
 
+#: Of neighbours counted by estimate: the estimate or, if fewer have it or more, how many do.
+BEST = "least(bucket, sum(n) OVER (PARTITION BY id ORDER BY bucket DESC ROWS UNBOUNDED PRECEDING)) AS best"
+
+
 def h_index_hist(pairs: DataFrame) -> DataFrame:
-    """``id, new_est`` from ``id, est, nbr_est``, by a histogram.
+    """``id, est, new_est`` from ``id, est, nbr_est``, by a histogram.
 
     Neighbours are counted by estimate, capped at the vertex's own, before anything is exchanged: a hub sends at most as
     many rows as its estimate is high, however many neighbours it has.
     """
-    counts = pairs.groupBy("id", "est", F.least("est", "nbr_est").alias("bucket")).agg(F.count("*").alias("n"))
-    above = F.sum("n").over(W.partitionBy("id").orderBy(F.desc("bucket")).rowsBetween(W.unboundedPreceding, 0))
-    return counts.withColumn("above", above).groupBy("id").agg(F.max(F.least("bucket", "above")).cast("int").alias("new_est"))
+    counts = pairs.groupBy("id", "est", F.expr("least(est, nbr_est) AS bucket")).agg(F.expr("count(1) AS n"))
+    return counts.selectExpr("id", "est", BEST).groupBy("id", "est").agg(F.expr("CAST(max(best) AS INT) AS new_est"))
+
+
+def h_index_open(pairs: DataFrame) -> DataFrame:
+    """``id, new_est`` from ``id, nbr_est``: the same without the cap at the vertex's own estimate, which the caller applies."""
+    counts = pairs.selectExpr("id", "nbr_est AS bucket").groupBy("id", "bucket").agg(F.expr("count(1) AS n"))
+    return counts.selectExpr("id", BEST).groupBy("id").agg(F.expr("CAST(max(best) AS INT) AS new_est"))
 
 
 def h_index_rank(pairs: DataFrame) -> DataFrame:

@@ -3,12 +3,51 @@
 from __future__ import annotations
 
 import heapq
+from collections.abc import Callable
 
 import numpy as np
 
 from coreshell.functions.hindex import h_index_block
 
 
+#: Vertices of a step that are worked on one by one: fewer than make numpy's calls worth while.
+FEW = 8
+
+
+class Buckets:
+    """Positions by key, taken out by the lowest key, all of one key at a time."""
+
+    def __init__(self):
+        self.held: dict[int, tuple[list[int], list[np.ndarray]]] = {}
+        self.keys: list[int] = []
+
+    def __bool__(self) -> bool:
+        return bool(self.keys)
+
+    def _at(self, key: int) -> tuple[list[int], list[np.ndarray]]:
+        if key not in self.held:
+            self.held[key] = ([], [])
+            heapq.heappush(self.keys, key)
+        return self.held[key]
+
+    def put_one(self, position: int, key: int) -> None:
+        self._at(key)[0].append(position)
+
+    def put(self, some: np.ndarray, keys: np.ndarray) -> None:
+        if not len(some):
+            return
+        order = np.argsort(keys, kind="stable")
+        some, keys = some[order], keys[order]
+        cuts = np.flatnonzero(np.diff(keys)) + 1
+        for key, part in zip(keys[np.r_[0, cuts]].tolist(), np.split(some, cuts), strict=True):
+            self._at(key)[1].append(part)
+
+    def pop(self) -> tuple[int, np.ndarray | list[int]]:
+        key = heapq.heappop(self.keys)
+        ones, parts = self.held.pop(key)
+        return key, np.concatenate([np.array(ones, np.int64), *parts]) if parts else ones
+
+
 class Block:
     """Arcs of some vertices as sorted, contiguous neighbour lists; neighbours outside keep the estimates they came with."""
 
@@ -55,21 +94,58 @@ class Block:
         """Run to the fixpoint from the ``active`` positions; the estimates.
 
         priority: all waiting vertices of the lowest estimate at a time, so that high ones aren't evaluated again for every
-        drop below them. fifo: all waiting vertices at a time.
+        drop below them. fifo: all waiting vertices at a time. Waiting vertices lie in buckets by estimate, so a step
+        touches its members and their neighbours only, however large the block is.
         """
         waiting = np.zeros(self.n, bool)
-        waiting[active] = True
-        while waiting.any():
-            some = np.flatnonzero(waiting)
-            if order == "priority":
-                some = some[self.est[some] == self.est[some].min()]
+        buckets, lowest = Buckets(), order == "priority"
+
+        def wait(some: np.ndarray) -> None:
+            some = some[~waiting[some]]
+            waiting[some] = True
+            buckets.put(some, self.est[some] if lowest else np.zeros(len(some), np.int64))
+
+        wait(np.unique(active))
+        one = self._one(waiting, buckets, lowest)
+        while buckets:
+            _, some = buckets.pop()
+            if len(some) <= FEW:
+                for i in some:
+                    waiting[i] = False
+                    one(int(i))
+                continue
+            some = np.asarray(some)
             waiting[some] = False
             changed, new = self.evaluate(some)
             old = self.est[changed].copy()
             self.est[changed] = new
-            waiting[self.wakened(changed, old, new)] = True
+            wait(self.wakened(changed, old, new))
         return self.est[: self.n]
 
+    def _one(self, waiting: np.ndarray, buckets: Buckets, lowest: bool) -> Callable[[int], None]:
+        """What evaluates one vertex and puts those that it wakes into ``buckets``, without numpy's cost of a call."""
+        est, nbrs, first, size, evals, waits, n = *(memoryview(np.ascontiguousarray(x)) for x in (self.est, self.nbrs, self.first, self.size, self.evals, waiting)), self.n
+
+        def evaluate(i: int) -> None:
+            evals[i] += 1
+            old = est[i]
+            to = nbrs[first[i] : first[i] + size[i]].tolist()
+            theirs = [est[j] for j in to]
+            if sum([x >= old for x in theirs]) >= old:
+                return
+            new = 0
+            for x in sorted(theirs, reverse=True):
+                if x <= new:
+                    break
+                new += 1
+            est[i] = new
+            for j, x in zip(to, theirs, strict=True):
+                if j < n and new < x <= old and not waits[j]:
+                    waits[j] = True
+                    buckets.put_one(j, x if lowest else 0)
+
+        return evaluate
+
     def settle_by_heap(self, active: np.ndarray) -> np.ndarray:
         """The same, one vertex at a time from a heap ordered by lowest estimate (entries out of date are skipped)."""
         waiting = np.zeros(self.n, bool)
@@ -99,26 +175,76 @@ class Block:
 
 
 def peel(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(ids, coreness, layer) by removing, level by level, all vertices of degree at most k at a time. Linear in arcs and levels."""
+    """(ids, coreness, layer) by removing, level by level, all vertices of degree at most k at a time.
+
+    Vertices lie in buckets by degree; a vertex that loses neighbours is put into its new bucket and its old entry is
+    skipped later. So the work is linear in vertices and arcs, whatever the levels.
+    """
     if not len(src):
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
     zero = np.zeros(len(src), np.int64)
     b = Block(src, dst, zero, zero)
     degree = b.size.astype(np.int64).copy()
     core, layer, alive = np.zeros(b.n, np.int64), np.zeros(b.n, np.int64), np.ones(b.n, bool)
-    left, k, step = b.n, 0, 0
-    gone = np.zeros(0, np.int64)
-    while left:
+    buckets = Buckets()
+    buckets.put(np.arange(b.n), degree)
+    nbrs, first, size, degrees, living = (memoryview(np.ascontiguousarray(x)) for x in (b.nbrs, b.first, b.size, degree, alive))
+    k = step = 0
+    gone: np.ndarray | list[int] = []
+    while len(gone) or buckets:
         if not len(gone):
-            living = degree[alive]
-            k = max(k, int(living.min()))
-            gone = np.flatnonzero(alive & (degree <= k))
+            key, gone = buckets.pop()
+            gone = [i for i in gone if living[i] and degrees[i] == key] if len(gone) <= FEW else (x := np.asarray(gone))[alive[x] & (degree[x] == key)]
+            if not len(gone):
+                continue
+            k = max(k, key)
         step += 1
         core[gone], layer[gone], alive[gone] = k, step, False
-        left -= len(gone)
-        to = b.lists(gone)
-        to = to[alive[to]]
-        touched, count = np.unique(to, return_counts=True)
+        if len(gone) <= FEW:
+            low = []
+            for i in gone:
+                for j in nbrs[first[i] : first[i] + size[i]].tolist():
+                    if living[j]:
+                        degrees[j] -= 1
+                        if degrees[j] == k:
+                            low.append(j)
+                        elif degrees[j] > k:
+                            buckets.put_one(j, degrees[j])
+            gone = low
+            continue
+        to = b.lists(np.asarray(gone))
+        touched, count = np.unique(to[alive[to]], return_counts=True)
         degree[touched] -= count
-        gone = touched[degree[touched] <= k]
+        low = degree[touched] <= k
+        gone = touched[low]
+        buckets.put(touched[~low], degree[touched[~low]])
     return b.ids, core, layer
+
+
+def sequential_cores(neighbours: dict[int, list[int]]) -> dict[int, int]:
+    """Coreness of every vertex of an adjacency dictionary, one vertex at a time, as sequential graph libraries compute it.
+
+    Vertices stand in a list sorted by degree, with the place where each degree begins. The first of those left is
+    removed; each neighbour of a higher degree trades places with the first of its degree, whose stretch then begins
+    one later. Linear in vertices and edges.
+    """
+    core = {v: len(of) for v, of in neighbours.items()}
+    queue = sorted(core, key=core.get)
+    place = {v: i for i, v in enumerate(queue)}
+    begins: dict[int, int] = {}
+    top = -1
+    for i, v in enumerate(queue):
+        for d in range(top + 1, core[v] + 1):
+            begins[d] = i
+        top = max(top, core[v])
+    for v in queue:
+        for u in neighbours[v]:
+            if core[u] > core[v]:
+                d = core[u]
+                first = begins[d]
+                other, at = queue[first], place[u]
+                queue[first], queue[at] = u, other
+                place[u], place[other] = first, at
+                begins[d] = first + 1
+                core[u] = d - 1
+    return core

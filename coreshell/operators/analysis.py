@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from coreshell.functions.hindex import h_index_rank
+from coreshell.functions.hindex import h_index_hist
 from coreshell.operators.graph import Graph
 from coreshell.operators.peel import LOCAL_ARCS, peel_bucket, peel_levels
 from coreshell.plans.rounds import Store
@@ -18,11 +18,26 @@ def k_core(g: Graph, cores: DataFrame, k: int) -> DataFrame:
     return g.edges.join(inside.withColumnRenamed("id", "u"), "u", "left_semi").join(inside.withColumnRenamed("id", "v"), "v", "left_semi").select("u", "v")
 
 
-def pruned(g: Graph, k: int) -> Graph:
-    """The graph without vertices of degree below ``k`` (one pass): the same k-core, fewer edges."""
-    enough = g.degrees().where(F.col("degree") >= k).select("id")
-    edges = g.edges.join(enough.withColumnRenamed("id", "u"), "u", "left_semi").join(enough.withColumnRenamed("id", "v"), "v", "left_semi")
-    return Graph(g.store.keep(edges.select("u", "v")), id_map=g.id_map)
+def pruned(g: Graph, k: int, passes: int = 3) -> Graph:
+    """The graph without vertices of degree below ``k``, again and again while any are found, ``passes`` times at most: the same k-core, fewer edges."""
+    for _ in range(passes):
+        enough = g.degrees().where(F.col("degree") >= k).select("id")
+        if enough.count() == g.size()[0]:
+            break
+        edges = g.edges.join(enough.withColumnRenamed("id", "u"), "u", "left_semi").join(enough.withColumnRenamed("id", "v"), "v", "left_semi")
+        g = Graph(g.store.keep(edges.select("u", "v")), id_map=g.id_map)
+    return g
+
+
+def sampled(g: Graph, share: float, seed: int = 17) -> Graph:
+    """The graph among a hash sample of its vertices: the same vertices at every run and in every graph."""
+    keep = lambda c: F.pmod(F.xxhash64(F.lit(seed), F.col(c)), F.lit(1 << 20)) < int(share * (1 << 20))
+    return Graph(g.store.keep(g.edges.where(keep("u") & keep("v"))), id_map=g.id_map)
+
+
+def degree_sketch(g: Graph) -> DataFrame:
+    """One row: distinct degrees and some of their percentiles by Spark's sketches, which never hold all degrees."""
+    return g.degrees().agg(F.approx_count_distinct("degree").alias("n_degrees"), F.percentile_approx("degree", F.array(*[F.lit(x) for x in (0.5, 0.9, 0.99)]), 10_000).alias("percentiles"))
 
 
 def k_shell(cores: DataFrame, k: int) -> DataFrame:
@@ -107,7 +122,7 @@ def centrality_table(g: Graph, cores: DataFrame) -> DataFrame:
     """``id, degree, h_index, coreness, degree_rank, core_rank``: three centralities, and percent ranks of two."""
     degrees = g.degrees()
     mine, other = degrees.select(F.col("id").alias("src"), F.col("degree").alias("est")), degrees.select(F.col("id").alias("dst"), F.col("degree").alias("nbr_est"))
-    h = h_index_rank(g.arcs().join(mine, "src").join(other, "dst").select(F.col("src").alias("id"), "est", "nbr_est")).withColumnRenamed("new_est", "h_index")
+    h = h_index_hist(g.arcs().join(mine, "src").join(other, "dst").select(F.col("src").alias("id"), "est", "nbr_est")).select("id", F.col("new_est").alias("h_index"))
     rows = degrees.join(cores, "id").join(h, "id", "left").withColumn("h_index", F.coalesce("h_index", F.lit(0)))
     d, c = _share_below(rows, "degree").withColumnRenamed("share", "degree_rank"), _share_below(rows, "coreness").withColumnRenamed("share", "core_rank")
     return rows.join(d, "degree").join(c, "coreness").select("id", "degree", "h_index", "coreness", F.round("degree_rank", 6).alias("degree_rank"), F.round("core_rank", 6).alias("core_rank"))
@@ -141,6 +156,11 @@ def snapshots_at(events: DataFrame, snapshots: DataFrame) -> DataFrame:
     return both.withColumn("coreness", F.last("coreness", ignorenulls=True).over(past)).where("kind = 1").select("event_id", "id", "coreness")
 
 
+def same_cores(before: DataFrame, after: DataFrame) -> DataFrame:
+    """``id, coreness`` of the vertices that two results agree on."""
+    return before.select("id", "coreness").intersect(after.select("id", "coreness"))
+
+
 def core_changes(before: DataFrame, after: DataFrame) -> DataFrame:
     """``id, was, now``: vertices whose coreness differs between two results; null where a vertex is absent."""
     a, b = before.select("id", F.col("coreness").alias("was")), after.select("id", F.col("coreness").alias("now"))

@@ -5,28 +5,50 @@ from __future__ import annotations
 import time
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from coreshell.operators.frontier import BROADCAST_VERTICES, SETTLED, TASK_ARCS, activated, merged, pulled, settle_kernel, small
+from coreshell.operators.frontier import BROADCAST_VERTICES, SETTLED, TASK_ARCS, merged, messages, pulled_by, settle_kernel, small
+from coreshell.operators.gates import gate
 from coreshell.operators.graph import Graph
 from coreshell.plans.rounds import CoreResult, loop_until_stable
 
+#: Blocks that are named one by one in a filter, so that the files of others aren't read.
+NAMED_BLOCKS = 1000
+
 
 def assign_blocks(g: Graph, n_blocks: int, partitioner: str = "hash") -> DataFrame:
-    """``id, block``. hash: spread evenly. range: neighbouring ids together, about as many in each block. chunk: id ranges of equal width."""
-    ids = g.degrees().select("id")
+    """``id, block``. hash: spread evenly. range: neighbouring ids together, about as many arcs in each block. chunk: id ranges of equal width."""
+    ids = g.degrees()
     if partitioner == "hash":
         block = F.pmod(F.xxhash64("id"), F.lit(n_blocks))
     elif partitioner == "range":
-        cuts = ids.approxQuantile("id", [i / n_blocks for i in range(1, n_blocks)], 0.001) if n_blocks > 1 else []
-        block = sum([F.when(F.col("id") > c, 1).otherwise(0) for c in sorted(set(cuts))], F.lit(0))
+        return _by_degree(g, n_blocks)
     elif partitioner == "chunk":
         lo, hi = ids.agg(F.min("id"), F.max("id")).first()
         width = max(1, -(-((hi or 0) - (lo or 0) + 1) // n_blocks))
         block = F.floor((F.col("id") - F.lit(lo or 0)) / width)
     else:
         raise ValueError(partitioner)
-    return ids.withColumn("block", block.cast("int"))
+    return ids.select("id", block.cast("int").alias("block"))
+
+
+def _by_degree(g: Graph, n_blocks: int) -> DataFrame:
+    """Blocks cut where the degrees of ascending ids have added up to another share of all arcs.
+
+    Ids are dealt into ranges; each adds up its degrees by itself and is moved by the sums of those before it (one row a range).
+    """
+    spark, store = g.spark, g.store
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = store.keep(g.degrees().repartitionByRange(parts, "id").select("id", F.col("degree").cast("long").alias("degree"), F.spark_partition_id().alias("part")))
+    firsts, at = [], 0
+    for r in sorted(dealt.groupBy("part").agg(F.sum("degree").alias("n")).collect()):
+        firsts.append((r["part"], at))
+        at += r["n"]
+    first = F.broadcast(spark.createDataFrame(firsts, "part int, first long"))  # one row a partition
+    before = F.sum("degree").over(W.partitionBy("part").orderBy("id").rowsBetween(W.unboundedPreceding, 0)) - F.col("degree")
+    share = F.floor((F.col("first") + F.col("before")) * n_blocks / max(1, at)).cast("int")
+    return dealt.withColumn("before", before).join(first, "part").select("id", F.least(share, F.lit(n_blocks - 1)).alias("block"))
 
 
 def coreness_blocked(
@@ -37,57 +59,63 @@ def coreness_blocked(
     broadcast_vertices: int = BROADCAST_VERTICES,
     task_arcs: int = TASK_ARCS,
     start: DataFrame | None = None,
+    active: DataFrame | None = None,
 ) -> CoreResult:
     """Coreness by local fixpoints: each round, every block with active vertices settles with its rim frozen at the values of the round's start.
 
-    Estimates only fall and a local fixpoint never goes below coreness, so the rounds end at coreness. Blocks are made
-    small enough for one task (``task_arcs``) unless ``n_blocks`` says otherwise. ``start``: ``id, est``, upper bounds to begin with.
+    Estimates only fall and a local fixpoint never goes below coreness, so the rounds end at coreness. There are enough
+    blocks for ``task_arcs`` arcs each unless ``n_blocks`` says otherwise; a block that exceeds them all the same, by a
+    hub, is refused. ``start``: ``id, est``, upper bounds to begin with, and ``active`` the vertices to begin with (all).
+    Arcs lie in buckets by block and are read in place, those of blocks that are awake only.
     """
     began = time.perf_counter()
-    arcs, store = g.arcs(), g.store
+    store, limit = g.store, broadcast_vertices
     n, m = g.size()
     n_blocks = n_blocks or max(1, -(-2 * m // task_arcs))
-    as_broadcast = n if n <= broadcast_vertices else 1 << 62
-    blocks = assign_blocks(g, n_blocks, partitioner)
-    mine = small(blocks.withColumnRenamed("id", "src"), as_broadcast)
-    dealt = store.keep(arcs.join(mine, "src").repartition(n_blocks, "block"))
+    blocks = store.keep(assign_blocks(g, n_blocks, partitioner))
+    mine = small(blocks.withColumnRenamed("id", "src"), n, limit)
+    to = small(blocks.select(F.col("id").alias("dst"), F.col("block").alias("to_block")), n, limit)
+    dealt = store.keep(g.arcs().join(mine, "src").join(to, "dst").select("src", "dst", "block", (F.col("block") != F.col("to_block")).alias("crosses")), bucketed="block")
+    most = dealt.groupBy("block").count().agg(F.max("count")).first()[0] or 0
+    if most > task_arcs:
+        raise ValueError(f"a block of {most} arcs is too large for one task; use more blocks or the frontier")
+    border = store.keep(dealt.where("crosses").select("src", "dst"), bucketed="src" if n > limit else None)
     first = g.degrees().select("id", F.col("degree").alias("est")) if start is None else start.select("id", "est")
     state = store.keep(first.select("id", F.col("est").alias("old"), "est"))
-    now = {"state": state, "active": None, "n_active": n, "evals": 0}
+    woken = None if active is None else store.keep(active.select("id").join(small(blocks, n, limit), "id"), n=F.count("*"))
+    now = {"state": state, "active": woken, "n_active": n if woken is None else woken._counts["n"], "evals": 0}
     run = settle_kernel(order)
 
     def step(_: int) -> dict:
-        n_active, state = now["n_active"], now["state"]
+        n_active, state, some = now["n_active"], now["state"], now["active"]
         if not n_active:
             return {"n_active": 0, "n_changed": 0}
         est, rows = state.select("id", "est"), dealt
-        if now["active"] is not None:
-            awake = now["active"].join(small(blocks, as_broadcast), "id")
-            rows = rows.join(F.broadcast(awake.select("block").distinct()), "block", "left_semi")  # at most n_blocks rows
-        rows = pulled(rows, est, as_broadcast).join(small(blocks, as_broadcast), "id")
-        if now["active"] is None:
-            rows = rows.withColumn("active", F.lit(True))
+        if some is not None:
+            awake = some.select("block").distinct()
+            named = [r["block"] for r in awake.limit(NAMED_BLOCKS + 1).collect()]
+            rows = rows.where(F.col("block").isin(named)) if len(named) <= NAMED_BLOCKS else rows.join(awake, "block", "left_semi")
+        pulled = pulled_by(rows.select("src", "dst", "block"), est, n, est, n, limit, "block")
+        if some is None:
+            pulled = pulled.withColumn("active", F.lit(True))
         else:
-            mark = small(now["active"].select(F.col("id").alias("__id")), as_broadcast)
-            rows = rows.join(mark, F.col("id") == F.col("__id"), "left").withColumn("active", F.col("__id").isNotNull()).drop("__id")
-        new = store.keep(rows.groupBy("block").applyInArrow(run, SETTLED))
-        now["evals"] += new.agg(F.sum("evals")).first()[0] or 0
-        after = store.keep(merged(est, new.select("id", "new_est")))
-        changed = after.where("est < old").count()
+            mark = small(some.select(F.col("id").alias("__id")), n_active, limit)
+            pulled = pulled.join(mark, F.col("id") == F.col("__id"), "left").withColumn("active", F.col("__id").isNotNull()).drop("__id")
+        new = store.keep(pulled.groupBy("block").applyInArrow(run, SETTLED), evals=F.sum("evals"), n=F.count("*"))
+        now["evals"] += new._counts["evals"]
+        after = store.keep(merged(est, new.select("id", "new_est"), new._counts["n"], limit), changed=F.count(F.when(F.col("est") < F.col("old"), 1)))
+        changed = after._counts["changed"]
         # inside a block everything has settled; across borders the receivers are judged by merged values
-        crossing = _crossing(dealt, after, blocks, as_broadcast) if changed and n_blocks > 1 else None
-        now["active"] = store.keep(crossing) if crossing is not None else None
-        now["n_active"] = now["active"].count() if crossing is not None else 0
-        store.drop(state)
+        now["active"], now["n_active"] = None, 0
+        if changed and n_blocks > 1:
+            wake = messages(border, after, n, changed, limit).where(gate("support")).select(F.col("dst").alias("id")).distinct()
+            now["active"] = store.keep(wake.join(small(blocks, n, limit), "id"), n=F.count("*"))
+            now["n_active"] = now["active"]._counts["n"]
+        store.drop(state, new, some)
         now["state"] = after
         return {"n_active": n_active, "n_changed": changed, "done": not now["n_active"]}
 
     rounds = loop_until_stable(step)
+    store.drop(dealt, border)
     stats = {"plan": f"blocked n_blocks={n_blocks} partitioner={partitioner}", "rounds": len(rounds), "evals": now["evals"], "seconds": time.perf_counter() - began}
     return CoreResult(now["state"].select("id", F.col("est").alias("coreness")), rounds, stats)
-
-
-def _crossing(dealt: DataFrame, state: DataFrame, blocks: DataFrame, n: int) -> DataFrame:
-    to = small(blocks.select(F.col("id").alias("dst"), F.col("block").alias("to_block")), n)
-    border = dealt.join(to, "dst").where("block <> to_block").select("src", "dst")
-    return activated(border, state, n, "support")

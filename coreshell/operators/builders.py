@@ -9,13 +9,14 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from coreshell.operators.graph import Graph, canonical_edges, dense_ids
+from coreshell.plans.rounds import Store
 
-#: Bytes of vectors that a broadcast block of the nearest-neighbour search holds.
+#: Bytes of vectors that a block of the nearest-neighbour search holds.
 VECTOR_BYTES = 32 << 20
 
 
 def graph_from_pairs(df: DataFrame, u: str = "u", v: str = "v") -> Graph:
-    return Graph(canonical_edges(df, u, v))
+    return Graph(canonical_edges(df, u, v), raw=df.select(F.col(u).alias("u"), F.col(v).alias("v")))
 
 
 def graph_bipartite(df: DataFrame, left: str, right: str) -> Graph:
@@ -30,22 +31,46 @@ def graph_projection(df: DataFrame, group: str, member: str) -> Graph:
     return graph_from_pairs(pairs)
 
 
+def followed(df: DataFrame, value: str, group: list[str], order: list[str], store: Store) -> DataFrame:
+    """``value, next``: each row's value and that of the next row of its group, however few groups there are.
+
+    Rows are dealt into ranges of (group, order); a range finds its own followers, and the last row of a group in it takes
+    the first row of the next range (one row a range).
+    """
+    spark = df.sparkSession
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    names = [f"g{i}" for i in range(len(group))], [f"o{i}" for i in range(len(order))]
+    rows = df.select(*[F.col(c).alias(x) for c, x in zip([*group, *order], [*names[0], *names[1]], strict=True)], F.col(value).alias("value"))
+    dealt = store.keep(rows.repartitionByRange(n, *names[0], *names[1], "value").withColumn("part", F.spark_partition_id()))
+    heads = dealt.groupBy("part").agg(F.min(F.struct(*names[0], *names[1], "value")).alias("head"))
+    heads = heads.select("part", F.lead("head").over(W.orderBy("part")).alias("head"))
+    last = F.row_number().over(W.partitionBy("part", *names[0]).orderBy(*[F.desc(c) for c in [*names[1], "value"]])) == 1
+    own = F.lead("value").over(W.partitionBy("part", *names[0]).orderBy(*names[1], "value"))
+    rows = dealt.withColumns({"own": own, "last": last}).join(F.broadcast(heads), "part")  # one row a partition
+    same = F.lit(True)
+    for c in names[0]:
+        same = same & F.col(c).eqNullSafe(F.col(f"head.{c}"))
+    return rows.select("value", F.when(~F.col("last"), F.col("own")).when(same, F.col("head.value")).alias("next"))
+
+
 def graph_sequence(df: DataFrame, vertex: str, *orders: tuple[list[str], list[str]]) -> Graph:
-    """Each row's vertex is linked to that of the next row, for each (partition columns, sort columns) of ``orders``."""
-    out = None
+    """Each row's vertex is linked to that of the next row, for each (group columns, sort columns) of ``orders``."""
+    out, store = None, Store(df.sparkSession)
+    rows = df.withColumn("__vertex", F.col(vertex).cast("long"))
     for group, order in orders:
-        step = df.select(F.col(vertex).cast("long").alias("u"), F.lead(F.col(vertex).cast("long")).over(W.partitionBy(*group).orderBy(*order)).alias("v"))
+        step = followed(rows, "__vertex", group, order, store).select(F.col("value").alias("u"), F.col("next").alias("v"))
         out = step if out is None else out.union(step)
     return graph_from_pairs(out)
 
 
 def graph_named(df: DataFrame, u: str = "u", v: str = "v") -> Graph:
     """Vertices given by names: they get dense ids, and the graph keeps the map."""
-    pairs = df.select(F.col(u).alias("a"), F.col(v).alias("b")).where("a is not null and b is not null").distinct()
+    raw = df.select(F.col(u).alias("u"), F.col(v).alias("v"))
+    pairs = raw.select(F.col("u").alias("a"), F.col("v").alias("b")).where("a is not null and b is not null").distinct()
     ids = dense_ids(pairs.select(F.explode(F.array("a", "b")).alias("raw")))
     left, right = ids.select(F.col("raw").alias("a"), F.col("id").alias("u")), ids.select(F.col("raw").alias("b"), F.col("id").alias("v"))
     g = graph_from_pairs(pairs.join(left, "a").join(right, "b"))
-    g.id_map = ids
+    g.id_map, g.raw = ids, raw
     return g
 
 
@@ -64,36 +89,37 @@ def graph_cooccurrence_window(events: DataFrame, vertex: str, ts: str, seconds:
     return graph_from_pairs(pairs)
 
 
-def graph_knn(vectors: DataFrame, key: str = "vec_id", column: str = "embedding", k: int = 10) -> Graph:
-    """Each vector linked to its ``k`` nearest by cosine (ties by id), exactly: the vectors visit all rows in broadcast blocks of bounded size."""
-    rows = vectors.select(F.col(key).cast("long").alias("id"), F.col(column).cast("array<double>").alias("x")).where("id is not null and x is not null")
-    found, block, held = None, [], 0
+def graph_knn(vectors: DataFrame, key: str = "vec_id", column: str = "embedding", k: int = 10, block_bytes: int = VECTOR_BYTES) -> Graph:
+    """Each vector linked to its ``k`` nearest by cosine (ties by id), exactly.
+
+    Vectors are packed into blocks of about ``block_bytes`` (a row each), every block is compared with every other in a
+    task of its own, and of all blocks' nearest the nearest are kept. Work grows with the square of the vectors: that
+    is what exact search costs.
+    """
+    store, spark = Store(vectors.sparkSession), vectors.sparkSession
+    rows = store.keep(vectors.select(F.col(key).cast("long").alias("id"), F.col(column).cast("array<double>").alias("x")).where("id is not null and x is not null"), n=F.count("*"), wide=F.max(F.size("x")))
+    n_blocks = max(1, -(-8 * rows._counts["n"] * rows._counts["wide"] // block_bytes), min(rows._counts["n"], int(spark.sparkContext.defaultParallelism) // 2))
 
-    def nearest(some: list) -> DataFrame:
-        ids = np.array([r["id"] for r in some])
-        base = np.array([r["x"] for r in some])
-        base /= np.linalg.norm(base, axis=1, keepdims=True)
+    def pack(t: pa.Table) -> pa.Table:
+        x = np.array(t["x"].to_pylist())
+        x /= np.linalg.norm(x, axis=1, keepdims=True)
+        return pa.table({"ids": [t["id"].to_numpy().tobytes()], "x": [x.tobytes()]}, pa.schema({"ids": pa.binary(), "x": pa.binary()}))
 
-        def run(batches):
-            for batch in batches:
-                own = batch.column(0).to_numpy()
-                x = np.array(batch.column(1).to_pylist())
-                like = (x / np.linalg.norm(x, axis=1, keepdims=True)) @ base.T
+    blocks = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.lit(n_blocks))).groupBy("block").applyInArrow(pack, "ids binary, x binary")
+    blocks = store.keep(blocks)
+    pairs = blocks.crossJoin(blocks.withColumnsRenamed({"ids": "other_ids", "x": "other_x"})).repartition(n_blocks * n_blocks)
+
+    def nearest(batches):
+        for batch in batches:
+            for row in batch.to_pylist():
+                own, ids = np.frombuffer(row["ids"], np.int64), np.frombuffer(row["other_ids"], np.int64)
+                like = np.frombuffer(row["x"]).reshape(len(own), -1) @ np.frombuffer(row["other_x"]).reshape(len(ids), -1).T
                 like[own[:, None] == ids[None, :]] = -np.inf
                 order = np.lexsort((np.broadcast_to(ids, like.shape), -like), axis=1)[:, :k]
                 u, v, s = np.repeat(own, order.shape[1]), ids[order].ravel(), np.take_along_axis(like, order, 1).ravel()
                 keep = np.isfinite(s)
                 yield pa.record_batch([pa.array(u[keep]), pa.array(v[keep]), pa.array(s[keep])], names=["u", "v", "like"])
 
-        return rows.mapInArrow(run, "u long, v long, like double")
-
-    for r in rows.toLocalIterator():
-        block.append(r)
-        held += 8 * len(r["x"])
-        if held >= VECTOR_BYTES:
-            found, block, held = nearest(block) if found is None else found.union(nearest(block)), [], 0
-    if block or found is None:
-        part = nearest(block) if block else rows.select(F.col("id").alias("u"), F.col("id").alias("v"), F.lit(0.0).alias("like")).limit(0)
-        found = part if found is None else found.union(part)
+    found = pairs.mapInArrow(nearest, "u long, v long, like double")
     rank = F.row_number().over(W.partitionBy("u").orderBy(F.desc("like"), "v"))
     return graph_from_pairs(found.withColumn("rank", rank).where(F.col("rank") <= k))

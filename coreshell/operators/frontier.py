@@ -3,6 +3,12 @@
 A round pulls the estimates that the frontier's arcs point to, re-estimates (process), merges what dropped into the
 table (update) and activates the neighbours that a drop concerns, judged by the merged table. When few vertices are
 active, the run leaves the parallel mode: the active ones and their surroundings go to one task, lowest estimates first.
+
+A round writes two tables, the merged estimates and the next frontier, and counts both while it writes them. Arcs lie
+in buckets by source and never move. Up to ``BROADCAST_VERTICES`` vertices the estimates are broadcast, and only the
+names of activated vertices are exchanged. Beyond, estimates and frontier lie in buckets by vertex, and three exchanges
+are left of a round: two of counts of neighbours by estimate (summed by vertex and estimate, then by vertex, so that
+a hub's are spread), and one to the neighbours that a drop may concern.
 """
 
 from __future__ import annotations
@@ -14,18 +20,22 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.functions.hindex import h_index_hist
+from coreshell.functions.hindex import h_index_hist, h_index_open
 from coreshell.functions.settle import Block
 from coreshell.operators.gates import gate as gate_predicate
 from coreshell.operators.graph import Graph
 from coreshell.plans.rounds import CoreResult, loop_until_stable
 
-#: A table of at most so many vertices (16 bytes each) is broadcast; larger ones are joined by shuffle.
+#: A table of at most so many vertices (16 bytes each) is broadcast; larger ones are joined by shuffle or bucket.
 BROADCAST_VERTICES = 500_000
 #: Arcs (some 100 bytes each at work) that one task takes.
 TASK_ARCS = 8_000_000
-#: Vertices that make up one task's work; a smaller frontier isn't worth spreading.
-BATCH = 1 << 17
+#: Active vertices below which the parallel mode is left: the batch that the published runs kept.
+BATCH = 256
+#: Vertices that make up one task's work on a cluster, where a round costs seconds: an option for ``batch_size``.
+TASK_VERTICES = 1 << 17
+#: Arcs of a round that one partition of its exchanges takes, for ``adaptive_partitions``.
+ARCS_A_PARTITION = 1 << 18
 
 
 def small(df: DataFrame, rows: int, limit: int = BROADCAST_VERTICES) -> DataFrame:
@@ -36,27 +46,41 @@ def small(df: DataFrame, rows: int, limit: int = BROADCAST_VERTICES) -> DataFram
 def active_arcs(arcs: DataFrame, active: DataFrame | None, n_active: int) -> DataFrame:
     if active is None:
         return arcs
-    return arcs.join(small(active.withColumnRenamed("id", "src"), n_active), "src", "left_semi")
+    return arcs.join(small(active.select(F.col("id").alias("src")), n_active), "src", "left_semi")
 
 
 def pulled(arcs: DataFrame, est: DataFrame, n: int) -> DataFrame:
     """``id, nbr, est, nbr_est`` of arcs."""
-    mine = small(est.select(F.col("id").alias("src"), "est"), n)
-    other = small(est.select(F.col("id").alias("dst"), F.col("est").alias("nbr_est")), n)
-    return arcs.join(other, "dst").join(mine, "src").select(F.col("src").alias("id"), F.col("dst").alias("nbr"), "est", "nbr_est")
+    return pulled_by(arcs, est, n, est, n)
+
+
+def pulled_by(arcs: DataFrame, mine: DataFrame, n_mine: int, est: DataFrame, n: int, limit: int = BROADCAST_VERTICES, *more: str) -> DataFrame:
+    """``id, nbr, est, nbr_est`` of the arcs that start in ``mine`` (``id, est``), and the arcs' columns named in ``more``."""
+    own = small(mine.selectExpr("id AS src", "est"), n_mine, limit)
+    other = small(est.selectExpr("id AS dst", "est AS nbr_est"), n, limit)
+    return arcs.join(own, "src").join(other, "dst").selectExpr("src AS id", "dst AS nbr", "est", "nbr_est", *more)
+
 
+def pushed(arcs: DataFrame, est: DataFrame, active: DataFrame | None) -> DataFrame:
+    """``id, new_est`` of the vertices of ``active`` (all), without moving an arc: estimates join the arcs that start in their vertices, and what
+    is exchanged are counts of neighbours by estimate."""
+    theirs = arcs.join(est.selectExpr("id AS src", "est AS nbr_est"), "src").selectExpr("dst AS id", "nbr_est")
+    if active is not None:
+        theirs = theirs.join(F.broadcast(active.select("id")), "id", "left_semi")  # counted rows
+    return h_index_open(theirs)
 
-def merged(est: DataFrame, new: DataFrame) -> DataFrame:
+
+def merged(est: DataFrame, new: DataFrame, n_new: int = 1 << 62, limit: int = BROADCAST_VERTICES) -> DataFrame:
     """``id, old, est``: the table with the estimates that dropped (``id, new_est``)."""
-    new = new.withColumnRenamed("id", "__id")
-    return est.join(new, F.col("id") == F.col("__id"), "left").select("id", F.col("est").alias("old"), F.least("est", F.coalesce("new_est", "est")).cast("int").alias("est"))
+    new = small(new.selectExpr("id", "new_est"), n_new, limit)
+    return est.join(new, "id", "left").selectExpr("id", "est AS old", "CAST(least(est, new_est) AS INT) AS est")  # least ignores null
 
 
-def messages(arcs: DataFrame, state: DataFrame, n: int) -> DataFrame:
+def messages(arcs: DataFrame, state: DataFrame, n: int, n_dropped: int | None = None, limit: int = BROADCAST_VERTICES) -> DataFrame:
     """``dst, src, old, new, est``: to each neighbour of a vertex that dropped, with the receiver's merged estimate."""
-    dropped = small(state.where("est < old").select(F.col("id").alias("src"), "old", F.col("est").alias("new")), n)
-    mine = small(state.select(F.col("id").alias("dst"), "est"), n)
-    return arcs.join(dropped, "src").join(mine, "dst").select("dst", "src", "old", "new", "est")
+    dropped = small(state.where("est < old").selectExpr("id AS src", "old", "est AS new"), n if n_dropped is None else n_dropped, limit)
+    mine = small(state.selectExpr("id AS dst", "est"), n, limit)
+    return arcs.join(dropped, "src").join(mine, "dst")
 
 
 def activated(arcs: DataFrame, state: DataFrame, n: int, kind: str) -> DataFrame:
@@ -64,13 +88,6 @@ def activated(arcs: DataFrame, state: DataFrame, n: int, kind: str) -> DataFrame
     return messages(arcs, state, n).where(gate_predicate(kind)).select(F.col("dst").alias("id")).distinct()
 
 
-def message_counts(arcs: DataFrame, state: DataFrame, n: int) -> dict:
-    """How many messages of a round each gate lets through."""
-    kinds = ("all", "lower", "support")
-    row = messages(arcs, state, n).agg(*[F.count(F.when(gate_predicate(k), 1)).alias(f"msgs_{k}") for k in kinds]).first()
-    return row.asDict()
-
-
 def settle_kernel(order: str):
     """Arrow kernel: rows ``id, nbr, est, nbr_est, active`` of one block to ``id, new_est, evals`` of its vertices."""
 
@@ -120,6 +137,7 @@ def coreness_frontier(
     start: DataFrame | None = None,
     active: DataFrame | None = None,
     broadcast_vertices: int = BROADCAST_VERTICES,
+    adaptive_partitions: bool = False,
     trace: bool = False,
     keep_states: bool = False,
     max_rounds: int | None = None,
@@ -131,16 +149,23 @@ def coreness_frontier(
     on the active vertices' surroundings of ``hops`` with the estimates beyond frozen; if those are too many as well, the
     parallel mode goes on. ``gate``: all, lower or support (counter: as support, with every vertex's supporters counted so
     that it wakes only when they have become too few). ``start``: ``id, est``, upper bounds to begin with, and ``active``
-    the vertices to begin with (all).
+    the vertices to begin with (all). ``adaptive_partitions``: the exchanges of a round have as many partitions as its
+    arcs fill, many early and few late (only while estimates are broadcast: buckets are fixed).
     """
     began = time.perf_counter()
-    arcs, store = g.arcs(), g.store
+    store, limit = g.store, broadcast_vertices
     n, m = g.size()
-    as_broadcast = n if n <= broadcast_vertices else 1 << 62
+    shuffled = n > limit
+    arcs = g.arcs()
+    by = "id" if shuffled else None
     below = int(switch_fraction * n) if switch_fraction is not None else batch_size if switch_below is None else switch_below
     first = g.degrees().select("id", F.col("degree").alias("est")) if start is None else start.select("id", "est")
-    state = store.keep(first.select("id", F.col("est").alias("old"), "est"))
-    now = {"state": state, "active": active, "n_active": n if active is None else active.count(), "evals": 0, "tails": 0, "states": [state] if keep_states else []}
+    state = store.keep(first.select("id", F.col("est").alias("old"), "est"), by)
+    if active is not None:
+        active = store.keep(state.select("id", "est").join(active.select("id"), "id", "left_semi"), by, n=F.count("*"))
+    now = {"state": state, "active": active, "n_active": n if active is None else active._counts["n"], "arcs": m, "evals": 0, "tails": 0, "states": [state] if keep_states else []}
+    usual = g.spark.conf.get("spark.sql.shuffle.partitions")
+    dropped = F.expr("count_if(est < old)")
 
     def tail_rows() -> DataFrame | None:
         est, some = now["state"].select("id", "est"), now["active"]
@@ -149,57 +174,77 @@ def coreness_frontier(
         elif some is None:
             return None
         else:
-            around = store.keep(surroundings(arcs, some, as_broadcast, hops))
-            part = arcs.join(small(around.withColumnRenamed("id", "src"), as_broadcast), "src", "left_semi")
-            if part.count() > task_arcs:
+            around = store.keep(surroundings(arcs, some.select("id"), n if not shuffled else 1 << 62, hops))
+            part = store.keep(arcs.join(around.withColumnRenamed("id", "src"), "src", "left_semi"), n=F.count("*"))
+            now["part"] = (around, part)
+            if part._counts["n"] > task_arcs:
                 return None
-        rows = pulled(part, est, as_broadcast)
+        rows = pulled_by(part, est, n, est, n, limit)
         if some is None:
             return rows.withColumn("active", F.lit(True))
-        mark = small(some.select(F.col("id").alias("__id")), now["n_active"])
+        mark = small(some.select(F.col("id").alias("__id")), now["n_active"], limit)
         return rows.join(mark, F.col("id") == F.col("__id"), "left").withColumn("active", F.col("__id").isNotNull()).drop("__id")
 
     def step(_: int) -> dict:
-        n_active, state = now["n_active"], now["state"]
+        n_active, state, some = now["n_active"], now["state"], now["active"]
         if not n_active:
             return {"n_active": 0, "n_changed": 0}
+        if adaptive_partitions and not shuffled:
+            tasks = max(1, min(int(usual), -(-now["arcs"] // ARCS_A_PARTITION)))
+            g.spark.conf.set("spark.sql.shuffle.partitions", str(tasks))
         est = state.select("id", "est")
+        now["part"] = ()
         rows = tail_rows() if tail != "none" and n_active < below else None
         if rows is not None:
-            new = store.keep(in_one_task(rows, tail))
-            now["evals"] += new.agg(F.sum("evals")).first()[0] or 0
+            new = store.keep(in_one_task(rows, tail), evals=F.sum("evals"), n=F.count("*"))
+            now["evals"] += new._counts["evals"]
             now["tails"] += 1
+            after = store.keep(merged(est, new.select("id", "new_est"), new._counts["n"], limit), by, changed=dropped)
+            store.drop(new, *now["part"])
         else:
-            new = h_index_hist(pulled(active_arcs(arcs, now["active"], n_active), est, as_broadcast))
             now["evals"] += n_active
-        after = store.keep(merged(est, new.select("id", "new_est")))
-        changed = after.where("est < old").count()
+            if shuffled:
+                new = pushed(arcs, est, some if n_active <= limit else None)
+            else:
+                new = h_index_hist(pulled_by(arcs, est if some is None else some, n_active, est, n, limit)).where("new_est < est").select("id", "new_est")
+            after = store.keep(merged(est, new, n_active, limit), by, changed=dropped)
+            store.drop(*now["part"])
+        changed = after._counts["changed"]
         whole = rows is not None and m <= task_arcs
         report = {"n_active": n_active, "n_changed": changed}
-        if trace:
-            report |= message_counts(arcs, after, as_broadcast)
-        if changed and not whole:
-            wake = woken(g, after, as_broadcast) if gate == "counter" else activated(arcs, after, as_broadcast, gate)
-            now["active"] = store.keep(wake)
-            now["n_active"] = now["active"].count()
-        else:
-            now["active"], now["n_active"] = None, 0
+        now["active"], now["n_active"] = None, 0
+        if changed and (trace or not whole):
+            sent = messages(arcs, after, n, changed, limit)
+            if trace:  # how many messages of the round each gate lets through
+                report |= sent.agg(*[F.count(F.when(gate_predicate(k), 1)).alias(f"msgs_{k}") for k in ("all", "lower", "support")]).first().asDict()
+            wake = sent.where(gate_predicate(gate)).selectExpr("dst AS id", "est").distinct()
+            if gate == "counter":
+                wake = woken(arcs, wake, after, n, limit)
+            if not whole:
+                degree = g.degrees().withColumnRenamed("id", "__id")
+                wake = wake.join(small(degree, n, limit), F.col("id") == F.col("__id")).select("id", "est", "degree") if adaptive_partitions else wake
+                now["active"] = store.keep(wake, by, n=F.count("*"), **({"arcs": F.sum("degree")} if adaptive_partitions else {}))
+                now["n_active"], now["arcs"] = now["active"]._counts["n"], now["active"]._counts.get("arcs", m)
+        elif trace:
+            report |= dict.fromkeys(("msgs_all", "msgs_lower", "msgs_support"), 0)
+        store.drop(some)
         if keep_states:
             now["states"].append(after)
         else:
             store.drop(state)
         now["state"] = after
-        return report | {"done": not now["n_active"]}
+        return report | {"done": not now["n_active"], "tasks": int(g.spark.conf.get("spark.sql.shuffle.partitions"))}
 
-    rounds = loop_until_stable(step, max_rounds)
+    try:
+        rounds = loop_until_stable(step, max_rounds)
+    finally:
+        g.spark.conf.set("spark.sql.shuffle.partitions", usual)
     cores = now["state"].select("id", F.col("est").alias("coreness"))
-    stats = {"plan": f"frontier gate={gate} tail={tail}", "rounds": len(rounds), "evals": now["evals"], "tails": now["tails"], "seconds": time.perf_counter() - began}
+    stats = {"plan": f"frontier gate={gate} tail={tail}", "rounds": len(rounds), "evals": now["evals"], "tails": now["tails"], "active": now["active"], "seconds": time.perf_counter() - began}
     return CoreResult(cores, rounds, stats, now["states"])
 
 
-def woken(g: Graph, state: DataFrame, n: int) -> DataFrame:
-    """``id`` of vertices that have fewer supporters (neighbours of their estimate or more) than their estimate, among those that a drop concerns."""
-    concerned = activated(g.arcs(), state, n, "support")
-    arcs = active_arcs(g.arcs(), concerned, n)
-    est = state.select("id", "est")
-    return pulled(arcs, est, n).groupBy("id", "est").agg(F.count(F.when(F.col("nbr_est") >= F.col("est"), 1)).alias("k")).where("k < est").select("id")
+def woken(arcs: DataFrame, concerned: DataFrame, state: DataFrame, n: int, limit: int = BROADCAST_VERTICES) -> DataFrame:
+    """``id, est`` of those ``concerned`` (``id, est``) that have fewer supporters (neighbours of their estimate or more) than their estimate."""
+    rows = pulled_by(arcs, concerned, n, state.select("id", "est"), n, limit)
+    return rows.groupBy("id", "est").agg(F.count(F.when(F.col("nbr_est") >= F.col("est"), 1)).alias("k")).where("k < est").select("id", "est")

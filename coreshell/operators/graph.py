@@ -55,6 +55,8 @@ class Graph:
     edges: DataFrame
     vertices: DataFrame | None = None
     id_map: DataFrame | None = None
+    #: ``u, v`` before clean-up, where the graph was built from pairs
+    raw: DataFrame | None = None
     _kept: dict = field(default_factory=dict, repr=False)
 
     @property
@@ -68,9 +70,9 @@ class Graph:
         return self._kept["store"]
 
     def arcs(self) -> DataFrame:
-        """``src, dst``, written once."""
+        """``src, dst`` in hash buckets of ``src``, written once: arcs stay where they are, whatever is joined to or counted by their sources."""
         if "arcs" not in self._kept:
-            self._kept["arcs"] = self.store.keep(symmetrize(self.edges))
+            self._kept["arcs"] = self.store.keep(symmetrize(self.edges), bucketed="src")
         return self._kept["arcs"]
 
     def degrees(self) -> DataFrame:
@@ -103,7 +105,11 @@ class Graph:
 
 
 def profile(g: Graph, cores: DataFrame) -> DataFrame:
-    """One row: vertices, edges, largest and mean coreness, mean degree."""
+    """One row: pairs before clean-up and loops among them (null where unknown), vertices, edges, largest and mean coreness, mean degree."""
     core = cores.agg(F.count("*").alias("n"), F.max("coreness").cast("long").alias("k_max"), F.round(F.avg("coreness"), 6).alias("k_avg"))
     edges = g.edges.agg(F.count("*").alias("m"))
-    return edges.join(core).select("n", "m", "k_max", "k_avg", F.round(2 * F.col("m") / F.col("n"), 6).alias("d_avg"))
+    if g.raw is None:
+        raw = edges.select(F.lit(None).cast("long").alias("n_rows_raw"), F.lit(None).cast("long").alias("n_loops"))
+    else:
+        raw = g.raw.where("u is not null and v is not null").agg(F.count("*").alias("n_rows_raw"), F.count(F.when(F.col("u") == F.col("v"), 1)).alias("n_loops"))
+    return raw.join(edges).join(core).select("n_rows_raw", "n_loops", "n", "m", "k_max", "k_avg", F.round(2 * F.col("m") / F.col("n"), 6).alias("d_avg"))

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from coreshell.functions.hindex import h_index_array, h_index_block
 from coreshell.functions.settle import Block
+from coreshell.operators.frontier import BROADCAST_VERTICES, small
 from coreshell.operators.graph import Graph
 from coreshell.plans.rounds import CoreResult, loop_until_stable
 
@@ -126,6 +127,7 @@ def coreness_mailbox(
     gate: str = "lower",
     batch_size: int = 256,
     n_tasks: int | None = None,
+    broadcast_vertices: int = BROADCAST_VERTICES,
     max_rounds: int | None = None,
 ) -> CoreResult:
     """Coreness by messages.
@@ -133,46 +135,55 @@ def coreness_mailbox(
     ``scheduler``: sequential (one task), iterator (rows wherever they are), pool (chunks of ``batch_size`` consecutive ids
     are dealt to ``n_tasks``), batch (so are they, and a task takes batch after batch). ``neighbors``: map or sorted.
     ``phases``: split, or fused (sorted only), where batches of a task see each other's changes at once.
+
+    Vertices are dealt once and stay in their files; a round brings the mail to them. Beyond ``broadcast_vertices``
+    vertices they lie in hash buckets of their ids instead, so that mail of any amount finds them there. A vertex is one
+    row with all its neighbours, as the method has it: at most some 100 million of them fit; graphs with such hubs
+    need the frontier.
     """
     if scheduler not in SCHEDULERS:
         raise ValueError(f"scheduler {scheduler!r}: one of {SCHEDULERS}")
     if phases == "fused" and neighbors != "sorted":
         raise ValueError("fused phases need sorted neighbours")
     began = time.perf_counter()
-    store, spark = g.store, g.spark
+    store, spark, limit = g.store, g.spark, broadcast_vertices
     n_tasks = n_tasks or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    chunk = F.floor(F.col("id") / batch_size)
-
-    def dealt(rows: DataFrame) -> DataFrame:
-        if scheduler == "sequential":
-            return rows.coalesce(1)
-        return rows if scheduler == "iterator" else rows.repartitionByRange(n_tasks, chunk).sortWithinPartitions("id")
-
-    first = init_state(g, neighbors).withColumn("mail", F.lit(None).cast("array<struct<src:bigint,value:int>>"))
-    now = {"rows": first, "kept": None, "sent": 0}
+    n, m = g.size()
+    by = "id" if n > limit and scheduler != "sequential" else None
+    first = init_state(g, neighbors)
+    if scheduler == "sequential":
+        first = first.repartition(1).sortWithinPartitions("id")
+    elif scheduler != "iterator" and not by:
+        first = first.repartitionByRange(n_tasks, F.floor(F.col("id") / batch_size)).sortWithinPartitions("id")
+    now = {"state": store.keep(first, by), "mail": None, "sent": 0}
     per_call = batch_size if scheduler == "batch" or phases == "fused" else 1 << 30
     kernel = _process_sorted(lookup, linear_below, phases == "fused", per_call)
+    parts = (("src", "array<bigint>"), ("value", "array<int>"))
 
     def step(_: int) -> dict:
-        rows = dealt(now["rows"])
+        rows, mail = now["state"], now["mail"]
+        if mail is None:
+            rows = rows.withColumn("mail", F.lit(None).cast("array<struct<src:bigint,value:int>>"))
+        else:  # mail comes to the vertices where they lie: by broadcast if that is small, else by bucket
+            rows = rows.join(small(mail, mail._counts["sent"], limit), F.col("id") == F.col("to"), "left").drop("to")
         if neighbors == "map":
             state = _process_map(rows)
         else:
-            mail = [F.coalesce(F.col(f"mail.{c}"), F.array().cast(t)).alias(c) for c, t in (("src", "array<bigint>"), ("value", "array<int>"))]
-            state = rows.select("id", "est", "nbr", "heard", *mail).mapInArrow(kernel, SORTED)
-        state = store.keep(state)
-        flag = state.agg(F.bool_or(F.col("est") < F.col("old")).alias("go_on"), F.count(F.when(F.col("est") < F.col("old"), 1)).alias("n")).first()
-        store.drop(now["kept"])
-        now["kept"] = state
-        if flag["go_on"]:
-            mail = store.keep(send(state, gate, neighbors))
-            now["sent"] += (sent := mail.count())
-            now["rows"] = state.join(mailbox_fold(mail), F.col("id") == F.col("to"), "left").drop("to")
-        return {"n_active": g.size()[0], "n_changed": flag["n"] or 0, f"msgs_{gate}": sent if flag["go_on"] else 0}
+            mail_columns = [F.coalesce(F.col(f"mail.{c}"), F.array().cast(t)).alias(c) for c, t in parts]
+            state = rows.select("id", "est", "nbr", "heard", *mail_columns).mapInArrow(kernel, SORTED)
+        state = store.keep(state, by, changed=F.count(F.when(F.col("est") < F.col("old"), 1)))
+        store.drop(now["state"], mail)
+        now["state"], now["mail"], sent = state, None, 0
+        if changed := state._counts["changed"]:
+            now["mail"] = store.keep(mailbox_fold(send(state, gate, neighbors)), "to" if by else None, sent=F.sum(F.size("mail")))
+            sent = now["mail"]._counts["sent"]
+            now["sent"] += sent
+        return {"n_active": n, "n_changed": changed, f"msgs_{gate}": sent}
 
     rounds = loop_until_stable(step, max_rounds)
-    cores = now["kept"].select("id", F.col("est").alias("coreness"))
+    store.drop(now["mail"])
+    cores = now["state"].select("id", F.col("est").alias("coreness"))
     if g.vertices is not None:
         cores = cores.unionByName(g.degrees().where("degree = 0").select("id", F.lit(0).alias("coreness")))
-    stats = {"plan": f"mailbox {scheduler} {neighbors} {phases} gate={gate}", "rounds": len(rounds), "evals": g.size()[0] * len(rounds), "sent": now["sent"], "first_messages": g.size()[1], "seconds": time.perf_counter() - began}
+    stats = {"plan": f"mailbox {scheduler} {neighbors} {phases} gate={gate}", "rounds": len(rounds), "evals": n * len(rounds), "sent": now["sent"], "first_messages": m, "seconds": time.perf_counter() - began}
     return CoreResult(cores, rounds, stats)

@@ -40,10 +40,18 @@ def convergence_trace(result: CoreResult) -> DataFrame:
     )
 
 
+def active_trace(result: CoreResult, n: int) -> DataFrame:
+    """``round, n_active, percent``: how many vertices, and what share of all ``n``, each round evaluated."""
+    return result.trace.select("round", "n_active", F.round(100.0 * F.col("n_active") / n, 6).alias("percent"))
+
+
 def error_histogram(result: CoreResult) -> DataFrame:
-    """``round, err, n`` of a run with ``keep_states``."""
+    """``round, err, n``: vertices by distance to coreness in each distinct state of a run with ``keep_states``."""
     out = None
-    for i, state in enumerate(result.states):
+    changed = [True, *[r["n_changed"] > 0 for r in result.rounds]]
+    for i, (state, did) in enumerate(zip(result.states, changed, strict=True)):
+        if not did:
+            continue
         part = state.join(result.cores, "id").groupBy((F.col("est") - F.col("coreness")).alias("err")).agg(F.count("*").alias("n")).select(F.lit(i).alias("round"), "err", "n")
         out = part if out is None else out.union(part)
     return out

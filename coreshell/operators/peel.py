@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.functions.settle import peel
+from coreshell.functions.settle import peel, sequential_cores
 from coreshell.operators.frontier import BROADCAST_VERTICES, small
 from coreshell.operators.graph import Graph
 from coreshell.plans.rounds import CoreResult
@@ -43,40 +43,44 @@ def peel_bucket(g: Graph, local_arcs: int = LOCAL_ARCS) -> CoreResult:
     return CoreResult(found.select("id", "coreness"), [], {"plan": "peel in one task", "layers": found, "seconds": time.perf_counter() - began})
 
 
-def core_number_local(g: Graph, local_arcs: int = LOCAL_ARCS) -> tuple[np.ndarray, np.ndarray]:
-    """(ids, coreness) computed on the driver, as a sequential graph library would; small graphs only."""
+def local_neighbours(g: Graph, local_arcs: int = LOCAL_ARCS) -> dict[int, list[int]]:
+    """The graph as an adjacency dictionary on the driver; small graphs only."""
     if g.size()[1] > local_arcs:
-        raise ValueError("too many arcs for the driver")
+        raise ValueError(f"{g.size()[1]} arcs are too many for the driver")
     rows = g.arcs().toArrow()
-    ids, core, _ = peel(rows["src"].to_numpy(), rows["dst"].to_numpy())
-    return ids, core
+    out: dict[int, list[int]] = {r["id"]: [] for r in g.degrees().select("id").collect()}
+    for u, v in zip(rows["src"].to_pylist(), rows["dst"].to_pylist(), strict=True):
+        out[u].append(v)
+    return out
+
+
+def core_number_local(g: Graph, local_arcs: int = LOCAL_ARCS) -> dict[int, int]:
+    """Coreness on the driver, one vertex at a time in Python: what a sequential graph library does."""
+    return sequential_cores(local_neighbours(g, local_arcs))
 
 
 def peel_levels(g: Graph, broadcast_vertices: int = BROADCAST_VERTICES) -> CoreResult:
     """Level peeling on the cluster: all vertices of degree at most k go at once, then k rises. Also yields layers.
 
-    Each step counts, for the vertices that remain, only the arcs that the last step removed.
+    Each step counts, for the vertices that remain, only the arcs that the last step removed, and appends its level to one table.
     """
     began = time.perf_counter()
     arcs, store, (n, _) = g.arcs(), g.store, g.size()
     as_broadcast = n if n <= broadcast_vertices else 1 << 62
-    alive = store.keep(g.degrees())
-    done: list[DataFrame] = []
+    lowest = {"low": F.min("degree"), "n": F.count("*")}
+    alive = store.keep(g.degrees(), **lowest)
+    path = f"{store.root}/levels"
     k = step = 0
-    while True:
-        low, count = alive.agg(F.min("degree"), F.count("*")).first()
-        if not count:
-            break
+    while alive._counts["n"]:
+        low = alive._counts["low"]
         k, step = max(k, low), step + (low > 0 or step > 0)
-        gone = store.keep(alive.where(F.col("degree") <= k).select("id"))
-        done.append(gone.select("id", F.lit(k).alias("coreness"), F.lit(step).alias("layer")))
-        lost = arcs.join(small(gone.withColumnRenamed("id", "src"), as_broadcast), "src", "left_semi").groupBy(F.col("dst").alias("__id")).agg(F.count("*").cast("int").alias("lost"))
+        gone = store.keep(alive.where(F.col("degree") <= k).select("id"), n=F.count("*"))
+        few = min(as_broadcast, gone._counts["n"])
+        gone.select("id", F.lit(k).alias("coreness"), F.lit(step).alias("layer")).write.mode("append").parquet(path)
+        lost = arcs.join(small(gone.withColumnRenamed("id", "src"), few), "src", "left_semi").groupBy(F.col("dst").alias("__id")).agg(F.count("*").cast("int").alias("lost"))
         rest = alive.where(F.col("degree") > k).join(lost, F.col("id") == F.col("__id"), "left")
-        after = store.keep(rest.select("id", (F.col("degree") - F.coalesce("lost", F.lit(0))).alias("degree")))
-        store.drop(alive)
+        after = store.keep(rest.select("id", (F.col("degree") - F.coalesce("lost", F.lit(0))).alias("degree")), **lowest)
+        store.drop(alive, gone)
         alive = after
-    out = done[0] if done else g.degrees().select("id", F.lit(0).alias("coreness"), F.lit(0).alias("layer"))
-    for part in done[1:]:
-        out = out.union(part)
-    found = store.keep(out)
+    found = g.spark.read.schema(LAYERS).parquet(path) if step or k or g.size()[0] else g.degrees().select("id", F.lit(0).alias("coreness"), F.lit(0).alias("layer"))
     return CoreResult(found.select("id", "coreness"), [], {"plan": "peel by levels", "rounds": step, "layers": found, "seconds": time.perf_counter() - began})

@@ -34,8 +34,8 @@ def coreness_sweep(g: Graph, kernel: str = "hist", broadcast_vertices: int = BRO
 
     def step(_: int) -> dict:
         est = now["state"].select("id", "est")
-        after = store.keep(merged(est, KERNELS[kernel](pulled(arcs, est, as_broadcast))))
-        changed = after.where("est < old").count()
+        after = store.keep(merged(est, KERNELS[kernel](pulled(arcs, est, as_broadcast)).select("id", "new_est"), as_broadcast), changed=F.count(F.when(F.col("est") < F.col("old"), 1)))
+        changed = after._counts["changed"]
         store.drop(now["state"])
         now["state"] = after
         return {"n_active": n, "n_changed": changed}

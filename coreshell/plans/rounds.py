@@ -13,14 +13,15 @@ import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from py4j.protocol import Py4JJavaError
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The session's ``spark.checkpoint.dir``; where it is unset, a folder of our own (local sessions) or the warehouse."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
-        local = spark.sparkContext.master.startswith("local")
+        local = spark.sparkContext.master.split("[")[0] == "local"
         found = tempfile.mkdtemp(prefix="coreshell-") if local else spark.conf.get("spark.sql.warehouse.dir")
         spark.conf.set("spark.checkpoint.dir", found)
     if spark.sparkContext.getCheckpointDir() is None:
@@ -36,6 +37,16 @@ def _remove(spark: SparkSession, path: str) -> None:
         return
 
 
+def _seen(seen: Observation) -> dict[str, int]:
+    """The observed counts; none where a plan turned out to have no rows and nothing was left of it to observe."""
+    try:
+        return {k: v or 0 for k, v in seen.get.items()}
+    except Py4JJavaError as e:
+        if "AssertionError" not in str(e):
+            raise
+        return {}
+
+
 class Store:
     """Written tables of one run."""
 
@@ -44,19 +55,37 @@ class Store:
         self.made = 0
         atexit.register(_remove, spark, self.root)
 
-    def keep(self, df: DataFrame) -> DataFrame:
-        """Run ``df`` now; the same rows, read from where they were written."""
-        path = f"{self.root}/{self.made}"
+    def keep(self, df: DataFrame, bucketed: str | None = None, parted: str | None = None, **counts: Column) -> DataFrame:
+        """Run ``df`` now; the same rows, read from where they were written.
+
+        ``bucketed``: one file for each of as many hash buckets of that column as there are shuffle partitions, sorted by
+        it, so that joins and aggregations on it move nothing. ``parted``: a folder for each value of that column.
+        ``counts``: aggregates of the rows, taken while they are written; they stand in ``_counts`` of the result.
+        """
+        path, name = f"{self.root}/{self.made}", f"coreshell_{self.root.rpartition('-')[2]}_{self.made}"
         self.made += 1
-        df.write.parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
+        seen = Observation() if counts else None
+        rows = df.observe(seen, *[c.alias(k) for k, c in counts.items()]) if counts else df
+        if bucketed:
+            n = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+            rows.repartition(n, bucketed).write.bucketBy(n, bucketed).sortBy(bucketed).format("parquet").option("path", path).saveAsTable(name)
+            out = self.spark.table(name)
+            out._coreshell_table = name
+        else:
+            writer = rows.write.partitionBy(parted) if parted else rows.write
+            writer.parquet(path)
+            out = self.spark.read.schema(df.schema).parquet(path)
         out._coreshell_path = path
+        out._counts = dict.fromkeys(counts, 0) | _seen(seen) if counts else {}
         return out
 
-    def drop(self, df: DataFrame | None) -> None:
-        """Remove the files behind a kept table that nothing reads any more."""
-        if path := getattr(df, "_coreshell_path", None):
-            _remove(self.spark, path)
+    def drop(self, *tables: DataFrame | None) -> None:
+        """Remove the files behind kept tables that nothing reads any more."""
+        for df in tables:
+            if name := getattr(df, "_coreshell_table", None):
+                self.spark.sql(f"DROP TABLE IF EXISTS {name}")
+            if path := getattr(df, "_coreshell_path", None):
+                _remove(self.spark, path)
 
 
 @dataclass

@@ -3,9 +3,8 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.functions import udtf
 
 from coreshell.functions.settle import peel
 from coreshell.operators.graph import Graph
@@ -15,14 +14,10 @@ from coreshell.plans.choose import coreness
 def register_sql(spark: SparkSession, graphs: dict[str, Graph] | None = None) -> None:
     """``h_index(array<int>)``, the table functions ``peel_steps(us, vs)`` and ``neighbors_within(us, vs, start, hops)`` for small graphs in arrays, and a view ``cores_<name>`` for each graph."""
 
-    def h_index(values: pd.Series) -> pd.Series:
-        def one(x):
-            x = np.sort(np.asarray(x))[::-1]
-            return int(np.minimum(x, np.arange(1, len(x) + 1)).max(initial=0))
-
-        return values.map(lambda x: None if x is None else one(x)).astype("Int32")
-
-    spark.udf.register("h_index", pandas_udf(h_index, "int"))
+    spark.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION h_index(estimates ARRAY<INT>) RETURNS INT RETURN "
+        "IF(estimates IS NULL, NULL, coalesce(array_max(transform(reverse(array_sort(estimates)), (x, i) -> least(x, i + 1))), 0))"
+    )
 
     @udtf(returnType="id bigint, coreness int, layer int")
     class PeelSteps:

@@ -7,19 +7,19 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.operators.graph import Graph, canonical_edges
+from coreshell.operators.builders import graph_named
+from coreshell.operators.graph import Graph
 from coreshell.plans.choose import coreness
 
 
 def union_graph(pairs: DataFrame) -> tuple[Graph, DataFrame]:
     """Many graphs (``g, u, v``: a graph's key and an edge) as one graph of disjoint parts, and ``id, g, vertex`` of its vertices.
 
-    A vertex of a part is numbered by a hash of both; the parts never touch, so one run gives the coreness of all.
+    The vertices of all parts get dense ids; the parts never touch, so one run gives the coreness of all.
     """
-    code = lambda v: F.xxhash64(F.col("g"), F.col(v))
-    pairs = pairs.where("u is not null and v is not null and u <> v")
-    ids = pairs.select("g", F.explode(F.array("u", "v")).alias("vertex")).distinct().select(F.xxhash64("g", "vertex").alias("id"), "g", "vertex")
-    return Graph(canonical_edges(pairs.select(code("u").alias("u"), code("v").alias("v")))), ids
+    name = lambda v: F.struct(F.col("g"), F.col(v).alias("vertex"))
+    g = graph_named(pairs.where("u <> v").select(name("u").alias("u"), name("v").alias("v")))
+    return g, g.id_map.select("id", "raw.g", "raw.vertex")
 
 
 def parted_cores(pairs: DataFrame) -> DataFrame:
@@ -73,3 +73,15 @@ def streaming_degrees(edges: DataFrame) -> DataFrame:
     return ends.groupBy("id").agg(F.count("*").alias("degree"))
 
 
+
+
+def latest(updates: DataFrame, key: list[str], out: str, checkpoint: str) -> DataFrame:
+    """Run a stream in update mode to the end of its source; the last row of each ``key``, from a table of all updates by batch."""
+
+    def batch(df: DataFrame, number: int) -> None:
+        df.withColumn("batch", F.lit(number)).write.mode("append").parquet(out)
+
+    updates.writeStream.outputMode("update").option("checkpointLocation", checkpoint).foreachBatch(batch).trigger(availableNow=True).start().awaitTermination()
+    rows = updates.sparkSession.read.parquet(out)
+    values = [c for c in rows.columns if c not in (*key, "batch")]
+    return rows.groupBy(*key).agg(F.max(F.struct("batch", *values)).alias("last")).select(*key, *[f"last.{c}" for c in values])

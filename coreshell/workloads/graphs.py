@@ -89,14 +89,11 @@ ids AS MATERIALIZED (SELECT raw, row_number() OVER (ORDER BY raw) AS id FROM (SE
 e AS MATERIALIZED (SELECT a.id AS u, b.id AS v FROM named JOIN ids a ON a.raw = named.u JOIN ids b ON b.raw = named.v)"""
 
 
-def states_sql(name: str) -> str:
-    """The sequence of synchronous states of a graph: expressions ending in ``s`` (it, id, k, changed) and ``final`` (id, k).
-
-    Every round re-ranks all neighbours; the recursion stops once a round has changed nothing.
-    """
-    return f"""WITH RECURSIVE {edges_sql(name)},
-a AS MATERIALIZED (SELECT u AS src, v AS dst FROM e UNION ALL SELECT v, u FROM e),
-deg AS MATERIALIZED (SELECT src AS id, count(*) AS k FROM a GROUP BY src),
+#: Both directions of the edges ``e``.
+ARCS_SQL = "a AS MATERIALIZED (SELECT u AS src, v AS dst FROM e UNION ALL SELECT v, u FROM e)"
+#: The sequence of synchronous states: ``s`` (it, id, k, changed) and ``final`` (id, k). Every round re-ranks all
+#: neighbours; the recursion stops once a round has changed nothing.
+STATES_SQL = """deg AS MATERIALIZED (SELECT src AS id, count(*) AS k FROM a GROUP BY src),
 loop (it, id, k, changed) AS (
   SELECT 0, id, k, true FROM deg
   UNION ALL
@@ -107,6 +104,25 @@ loop (it, id, k, changed) AS (
 ),
 s AS MATERIALIZED (SELECT * FROM loop),
 final AS MATERIALIZED (SELECT id, CAST(k AS INTEGER) AS k FROM s WHERE it = (SELECT max(it) FROM s))"""
+#: Peeling wave by wave: ``peeled`` (step, id, d, lev, gone), the vertices alive at each step. A step removes those of
+#: degree at most the level, which rises to the lowest degree when none are left below.
+PEELED_SQL = """peeled (step, id, d, lev, gone) AS (
+  SELECT 1, id, d, min(d) OVER (), d <= min(d) OVER () FROM (SELECT src AS id, count(*) AS d FROM a GROUP BY src)
+  UNION ALL
+  SELECT step + 1, id, d, greatest(lev, min(d) OVER ()), d <= greatest(lev, min(d) OVER ()) FROM (
+    SELECT x.step, x.id, x.lev, count(y.id) AS d
+    FROM peeled x LEFT JOIN a ON a.src = x.id LEFT JOIN peeled y ON y.id = a.dst AND NOT y.gone WHERE NOT x.gone GROUP BY x.step, x.id, x.lev)
+)"""
+
+
+def states_sql(name: str) -> str:
+    """The states of a graph, and its edges."""
+    return f"WITH RECURSIVE {edges_sql(name)},\n{ARCS_SQL},\n{STATES_SQL}"
+
+
+def layers_sql(name: str) -> str:
+    """The peeling of a graph, and its edges."""
+    return f"WITH RECURSIVE {edges_sql(name)},\n{ARCS_SQL},\n{PEELED_SQL}"
 
 
 def named_sql(name: str, columns: str, rest: str = "") -> str:

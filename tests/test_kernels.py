@@ -6,7 +6,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from coreshell.functions.hindex import h_index_block
-from coreshell.functions.settle import Block, peel
+from coreshell.functions.settle import Block, peel, sequential_cores
 
 
 def brute_cores(edges):
@@ -46,6 +46,27 @@ def test_peel_equals_brute_force(edges):
     assert (layer > 0).all()
 
 
+@given(graphs)
+@settings(max_examples=200, deadline=None)
+def test_one_vertex_at_a_time_equals_brute_force(edges):
+    neighbours = {}
+    for u, v in {(min(e), max(e)) for e in edges if e[0] != e[1]}:
+        neighbours.setdefault(u, []).append(v)
+        neighbours.setdefault(v, []).append(u)
+    assert sequential_cores(neighbours) == brute_cores(edges)
+
+
+def test_long_paths_take_linear_work():
+    n = 200_000
+    u = np.arange(n - 1)
+    src, dst = np.r_[u, u + 1], np.r_[u + 1, u]
+    _, core, layer = peel(src, dst)
+    assert core.max() == 1 and layer.max() == n // 2
+    degree = np.bincount(src)
+    b = Block(src, dst, degree[src], degree[dst])
+    assert b.settle(np.arange(b.n)).max() == 1 and b.evals.sum() < 2.1 * n
+
+
 @given(graphs, st.sampled_from(["priority", "fifo", "heap"]), st.randoms())
 @settings(max_examples=200, deadline=None)
 def test_settling_from_any_upper_bound(edges, order, rnd):

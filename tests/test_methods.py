@@ -1,11 +1,14 @@
+import json
+import os
 import random
 
 import pytest
 from pyspark.sql import functions as F
 
 from coreshell.operators import analysis as A
+from coreshell.operators import builders as B
 from coreshell.operators import measures as M
-from coreshell.operators.blocked import coreness_blocked
+from coreshell.operators.blocked import assign_blocks, coreness_blocked
 from coreshell.operators.frontier import activated, coreness_frontier
 from coreshell.operators.gates import gate
 from coreshell.operators.graph import Graph, canonical_edges, dense_ids, profile
@@ -13,6 +16,7 @@ from coreshell.operators.mailbox import coreness_mailbox
 from coreshell.operators.peel import core_number_local, peel_bucket, peel_levels
 from coreshell.operators.sweep import coreness_sweep
 from coreshell.plans.choose import coreness
+from coreshell.plans.rounds import Store
 from coreshell.sources import tables as S
 
 from .test_kernels import brute_cores
@@ -31,6 +35,15 @@ METHODS = {
     "tail_fifo": lambda g: coreness_frontier(g, tail="fifo", batch_size=8),
     "tail_heap": lambda g: coreness_frontier(g, tail="heap", batch_size=8),
     "tail_around": lambda g: coreness_frontier(g, batch_size=30, task_arcs=60),
+    "bucketed": lambda g: coreness_frontier(g, tail="none", broadcast_vertices=0),
+    "bucketed_tail": lambda g: coreness_frontier(g, batch_size=8, task_arcs=60, broadcast_vertices=0),
+    "adaptive": lambda g: coreness_frontier(g, tail="none", adaptive_partitions=True),
+    "fraction": lambda g: coreness_frontier(g, switch_fraction=0.2),
+    "bucketed_mail": lambda g: coreness_mailbox(g, "batch", broadcast_vertices=0),
+    "bucketed_blocks": lambda g: coreness_blocked(g, 3, "range", broadcast_vertices=0),
+    "auto_frontier": lambda g: coreness(g, local_arcs=0),
+    "auto_rounds": lambda g: coreness(g, local_arcs=0, plateau_rounds=1, plateau_share=0.0, tail="none"),
+    "auto_blocks": lambda g: coreness(g, local_arcs=0, plateau_rounds=1, plateau_share=1.0, n_blocks=3, tail="none"),
     "blocked_hash": lambda g: coreness_blocked(g, 3, "hash"),
     "blocked_range": lambda g: coreness_blocked(g, 3, "range"),
     "blocked_chunk": lambda g: coreness_blocked(g, 3, "chunk"),
@@ -62,6 +75,72 @@ def test_every_method(spark, method):
     assert found(METHODS[method](graph(spark, edges))) == brute_cores(edges)
 
 
+def test_the_default_runs_in_parallel_until_a_batch_is_left(spark):
+    """A grid with a random graph on it: thousands are active at first, fewer than 256 at the end."""
+    edges = S.grid_graph(spark, 40, 40).union(spark.createDataFrame([(_r.randint(0, 1599), _r.randint(0, 1599)) for _ in range(3000)], "u long, v long"))
+    g = Graph(canonical_edges(edges))
+    result = coreness_frontier(g, trace=True)
+    parallel = [r for r in result.rounds if r["n_active"] >= 256]
+    assert len(parallel) >= 2 and result.stats["tails"] == 1 and result.rounds[-1]["n_active"] < 256
+    M.assert_same_cores(result.cores, peel_bucket(g).cores)
+    none = coreness_frontier(g, tail="none", trace=True)
+    assert none.stats["tails"] == 0 and [r["n_active"] for r in none.rounds][: len(result.rounds)] == [r["n_active"] for r in result.rounds]
+    assert coreness_frontier(g, switch_fraction=1.1).stats["rounds"] == 1
+
+
+def plans_of(spark, monkeypatch, run):
+    """The plans of all tables that a run writes."""
+    plans, keep, n = [], Store.keep, int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+    def noted(self, df, bucketed=None, parted=None, **counts):
+        rows = df.repartition(n, bucketed) if bucketed else df
+        plans.append(rows._jdf.queryExecution().executedPlan().toString())
+        return keep(self, df, bucketed, parted, **counts)
+
+    monkeypatch.setattr(Store, "keep", noted)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        result = run()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    return plans, result
+
+
+def test_three_exchanges_a_round(spark, monkeypatch):
+    g = graph(spark, RANDOM)
+    g.size()
+    plans, result = plans_of(spark, monkeypatch, lambda: coreness_frontier(g, tail="none", broadcast_vertices=0))
+    assert result.stats["rounds"] > 2
+    rounds = plans[1:]  # the first is the table of degrees
+    for process, activate in zip(rounds[2::2], rounds[3::2], strict=False):
+        assert process.count("Exchange hashpartitioning") == 2 and activate.count("Exchange hashpartitioning") == 1, process + activate
+        assert "BroadcastExchange" not in process + activate
+
+
+def test_vertices_of_mailboxes_are_dealt_once(spark, monkeypatch):
+    g = graph(spark, RANDOM)
+    g.size()
+    plans, _ = plans_of(spark, monkeypatch, lambda: coreness_mailbox(g, "batch", batch_size=4))
+    assert sum("rangepartitioning" in p for p in plans) == 1
+    assert all("Exchange hash" not in p for p in plans if "MapInArrow" in p)
+
+
+def test_past_tables_are_removed(spark):
+    for run in (lambda g: coreness_frontier(g, tail="none"), lambda g: coreness_mailbox(g, "batch"), lambda g: coreness_blocked(g, 3, "range"), lambda g: coreness_frontier(g, batch_size=30, task_arcs=60)):
+        g = graph(spark, RANDOM)
+        run(g)
+        assert len(os.listdir(g.store.root.removeprefix("file:"))) <= 6  # arcs, degrees, blocks and the last state
+
+
+def test_blocks_by_degree(spark):
+    edges = S.star_graph(spark, 300).union(S.path_graph(spark, 300).select((F.col("u") + 1000).alias("u"), (F.col("v") + 1000).alias("v")))
+    g = Graph(canonical_edges(edges))
+    blocks = assign_blocks(g, 4, "range").join(g.degrees(), "id").groupBy("block").agg(F.sum("degree").alias("arcs"), F.min("id").alias("a"), F.max("id").alias("b")).orderBy("block").collect()
+    assert all(x.b < y.a for x, y in zip(blocks, blocks[1:])) and max(r.arcs for r in blocks) <= 300 + g.size()[1] // 4
+    with pytest.raises(ValueError, match="too large"):
+        coreness_blocked(g, 4, "range", task_arcs=250)
+
+
 def test_trace_of_a_clique_with_a_path(spark):
     g = graph(spark, CLIQUE_PATH)
     result = coreness_frontier(g, tail="none", trace=True, keep_states=True)
@@ -133,12 +212,58 @@ def test_measures(spark):
     with pytest.raises(AssertionError):
         M.assert_same_cores(cores, cores.where("id > 0"))
     p = profile(g, cores).first()
-    assert (p.n, p.m, p.k_max, p.k_avg, p.d_avg) == (7, 9, 3, round(15 / 7, 6), round(18 / 7, 6))
+    assert (p.n, p.m, p.k_max, p.k_avg, p.d_avg) == (7, 9, 3, round(15 / 7, 6), round(18 / 7, 6)) and p.n_loops is None
+    assert core_number_local(g) == found(coreness(g))
     assert M.speedup_curve({1: 4.0, 2: 2.0}) == {1: 1.0, 2: 2.0} and M.state_footprint(g)["private_rows"] == 18
     assert M.ratio_table({"g": {"a": 1.0, "b": 3.0}}, "a") == {"g": {"a": 1.0, "b": 3.0}}
     assert M.time_method(lambda: coreness(g), 2)["mean"] > 0
 
 
+def test_stage_metrics(tmp_path):
+    task = {"Shuffle Read Metrics": {"Remote Bytes Read": 5, "Local Bytes Read": 7}, "Shuffle Write Metrics": {"Shuffle Bytes Written": 11}, "Disk Bytes Spilled": 2}
+    lines = [{"Event": "SparkListenerTaskEnd", "Stage ID": 3, "Task Metrics": task}] * 2 + [{"Event": "SparkListenerTaskEnd", "Stage ID": 4}, {"Event": "other"}]
+    (tmp_path / "log").write_text("\n".join(map(json.dumps, lines)))
+    assert M.stage_metrics(str(tmp_path / "log")) == [{"stage": 3, "tasks": 2, "shuffle_written": 22, "shuffle_read": 24, "spilled": 4}]
+
+
+def test_errors_and_shares(spark):
+    g = graph(spark, CLIQUE_PATH)
+    result = coreness_frontier(g, tail="none", keep_states=True)
+    assert sorted(map(tuple, M.error_histogram(result).collect())) == [(0, 0, 4), (0, 1, 3), (1, 0, 6), (1, 1, 1), (2, 0, 7)]
+    assert [r.percent for r in M.active_trace(result, 7).orderBy("round").collect()] == [100.0, round(100 / 7, 6)]
+
+
+def test_graphs_from_events(spark):
+    rows = [("a", 1, 10), ("a", 2, 11), ("b", 2, 12), ("a", 1, 30), ("b", 3, 12), (None, 7, 1), (None, 8, 2)]
+    events = spark.createDataFrame([(k, v, t) for k, v, t in rows], "k string, v long, t long")
+    found = B.graph_sequence(events, "v", (["k"], ["t", "v"]))
+    assert sorted(map(tuple, found.edges.collect())) == [(1, 2), (2, 3), (7, 8)]
+    assert found.raw.where("v is not null").count() == 4  # (2, 1) and (1, 2) are both there
+    near = B.graph_cooccurrence_window(events.select("v", F.timestamp_seconds("t").alias("t")), "v", "t", 1)
+    assert sorted(map(tuple, near.edges.collect())) == [(1, 2), (2, 3), (7, 8)]
+
+
+def test_knn_in_blocks(spark):
+    vectors = [(i, [float(_r.gauss(0, 1)) for _ in range(5)]) for i in range(60)]
+    df = spark.createDataFrame([*vectors, (99, None), (None, [1.0] * 5)], "vec_id long, embedding array<double>")
+    norm = lambda x: sum(a * a for a in x) ** 0.5
+    want = set()
+    for i, x in vectors:
+        like = sorted(((-sum(a * b for a, b in zip(x, y)) / norm(x) / norm(y), j) for j, y in vectors if i != j))
+        want |= {(min(i, j), max(i, j)) for _, j in like[:3]}
+    assert {tuple(r) for r in B.graph_knn(df, k=3, block_bytes=700).edges.collect()} == want
+
+
+def test_samples_and_sketches(spark):
+    g = graph(spark, RANDOM)
+    half = A.sampled(g, 0.5)
+    assert 0 < half.edges.count() < g.edges.count() and half.edges.exceptAll(g.edges).isEmpty()
+    row = A.degree_sketch(g).first()
+    assert abs(row.n_degrees - g.degrees().select("degree").distinct().count()) <= 1 and len(row.percentiles) == 3
+    cores = coreness(g).cores
+    assert A.same_cores(cores, cores).count() == cores.count()
+
+
 def test_layers_beyond_one_task(spark):
     g = graph(spark, CLIQUE_PATH)
     few = A.core_layers(g, local_arcs=3)  # fewer than the graph has
