@@ -269,6 +269,48 @@ def test_toxicity(spark, odd, empty):
     assert all(r.predicted == 0 for r in toxicity.score(odd, untrained).collect())
 
 
+def brute_fit(texts, labels, steps, l2):
+    """Noisy-or over sentences by a plain gradient in dictionaries; every word and beginning of a word is a feature."""
+    bags = [[{f for w in map(toxicity.fold, x.split()) if w for f in toxicity.features(w)} for x in t.split(".") if x.strip()] for t in texts]
+    theta, first, second = Counter(), Counter(), Counter()
+    theta["bias"] = math.log(np.mean(labels) / max(1.0, sum(map(len, bags)) / len(texts)))
+    keys = {f for b in bags for s in b for f in s} | {"bias"}
+    for t in range(1, steps + 1):
+        grad = Counter({k: l2 * theta[k] for k in keys if k != "bias"})
+        for bag, y in zip(bags, labels):
+            p = [1 / (1 + math.exp(-sum(theta[f] for f in s) - theta["bias"])) for s in bag]
+            none = math.prod(1 - x for x in p)
+            pull = (-none / max(1 - none, 1e-9) if y else 1.0) / len(texts)
+            for s, x in zip(bag, p):
+                for f in s | {"bias"}:
+                    grad[f] += pull * x
+        for k in keys:
+            first[k] = 0.9 * first[k] + 0.1 * grad[k]
+            second[k] = 0.999 * second[k] + 0.001 * grad[k] ** 2
+            theta[k] -= 0.1 * (first[k] / (1 - 0.9**t)) / (math.sqrt(second[k] / (1 - 0.999**t)) + 1e-9)
+    return theta
+
+
+def test_the_fit_is_the_noisy_or_gradient():
+    r = random.Random(5)
+    texts, labels = [], []
+    for i in range(40):
+        bad = i % 3 == 0
+        sentences = [" ".join(r.choice(["ab", "cd", "ef", "gh"]) for _ in range(4)) for _ in range(r.randint(1, 4))]
+        if bad:
+            sentences[r.randrange(len(sentences))] += " vi"
+        texts.append(". ".join(sentences))
+        labels.append(int(bad))
+    s = toxicity.Settings(least_documents=0, least_z=-1.0, steps=25)
+    model = toxicity.fit(texts, np.array(labels), np.ones(40), s)
+    want = brute_fit(texts, labels, 25, s.l2)
+    assert model.bias == pytest.approx(want["bias"], abs=1e-6)
+    assert set(model.weights) - {""} == {"ab", "cd", "ef", "gh", "vi"} and all(w == pytest.approx(want[f], abs=1e-6) for f, w in model.weights.items())
+    # a document's score is the noisy-or of its sentences
+    doc, x = toxicity._sentence_scores(pa.array(["ab vi. cd cd ef", "gh"]), model)
+    assert doc.tolist() == [0, 0, 1] and x == pytest.approx([sum(model.weights[w] for w in bag) + model.bias for bag in (("ab", "vi"), ("cd", "ef"), ("gh",))])
+
+
 # --- language models ------------------------------------------------------------------
 
 
@@ -363,5 +405,25 @@ def test_pipeline(spark, tmp_path):
     assert np.isclose(sum(len(r.text.split()) for r in four.collect()), sum(r.target for r in budget_mix.mix(three).select("target").distinct().collect()), atol=3)
 
 
+def test_pipeline_of_odd_documents(spark, tmp_path):
+    """Nulls in any column, empty and long texts, repeated rows, columns with clashing names; and no documents at all."""
+    labels = spark.createDataFrame([(3, 1, 0), (7, 0, None), (None, 1, 1), (8, None, 1)], "doc_id long, toxic int, quality int")
+    benchmark = spark.createDataFrame([(1, "no id here at all, really"), (2, None), (None, ""), (3, "x" * 40)], "item_id long, text string")
+    for name, rows in (("odd", ODD), ("none", [])):
+        d = str(tmp_path / name)
+        documents(spark, rows).write.parquet(f"{d}/documents.parquet")
+        labels.write.parquet(f"{d}/labels.parquet")
+        benchmark.write.parquet(f"{d}/benchmark.parquet")
+        docs = spark.read.parquet(f"{d}/documents.parquet")
+        for stage, step in corpus_pipeline.STAGES[:-1]:
+            after = corpus_pipeline.stored(step(spark, docs, d), stage)
+            assert after.columns == docs.columns, stage
+            docs = after
+        kept = Counter(r.doc_id for r in docs.collect())
+        found = Counter(r.doc_id for r in corpus_pipeline.run(spark, d).collect())
+        assert found == kept and None not in kept and 7 not in kept  # the leaks are gone
+        assert set(kept) <= {0, 3, 4, 5, 8} and (not rows or kept)
+
+
 def test_schema_has_clashing_names():
     assert {"n", "label", "hub", "row", "part", "size", "copy"} <= {c.split()[0] for c in SCHEMA.split(", ")}
