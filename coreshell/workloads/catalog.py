@@ -282,7 +282,7 @@ def _user_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
     cores = windows.parted_cores(windows.session_pairs(_user_keys(spark, sf_dir), "user", "k", "ts", "1 hour"))
-    return cores.groupBy("g").agg(F.count("*").alias("n"), F.max("coreness").cast("long").alias("k_max")).select("g.user", F.col("g.start").cast("string").alias("start"), "n", "k_max")
+    return cores.groupBy("g").agg(F.count("*").alias("n"), F.max("coreness").cast("long").alias("k_max")).select("g.user", F.unix_micros("g.start").alias("start"), "n", "k_max")
 
 
 register(
@@ -292,7 +292,7 @@ register(
 s AS (SELECT *, sum(CASE WHEN before IS NULL OR ts > before + INTERVAL 1 HOUR THEN 1 ELSE 0 END) OVER (PARTITION BY user ORDER BY ts ROWS UNBOUNDED PRECEDING) AS i FROM r),
 e AS (SELECT user, i, min(ts) AS start, count(DISTINCT k) AS keys FROM s GROUP BY user, i),
 deg AS (SELECT user, i, start, keys + 1 AS n, least(keys, 1) AS k_max FROM e)
-SELECT user, strftime(start, '%Y-%m-%d %H:%M:%S') AS start, n, k_max FROM deg WHERE n > 1""",
+SELECT user, epoch_us(start) AS start, n, k_max FROM deg WHERE n > 1""",
 )
 
 
@@ -315,11 +315,14 @@ register(
 
 
 def _late(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Days as a stream of files: odd days a file each, then an even day's rows, which come too late for an hour's delay."""
+    """Days as a stream of files: odd days, the latest row once more, then even days, which come too late for an hour's delay.
+
+    Lateness is judged by the watermark that the last batch but one has set, so a batch lies between.
+    """
     folder = f"{Store(spark).root}/stream"
     rows = _user_keys(spark, sf_dir).select((2 * F.col("user")).alias("u"), (2 * F.col("k") + 1).alias("v"), "ts")
     odd = F.dayofmonth("ts") % 2 == 1
-    for i, part in enumerate((rows.where(odd), rows.where(~odd & (F.dayofmonth("ts") < 20)), rows.where(F.lit(False)))):
+    for i, part in enumerate((rows.where(odd), rows.where(odd).orderBy(F.desc("ts")).limit(1), rows.where(~odd & (F.dayofmonth("ts") < 20)))):
         part.coalesce(1).write.parquet(f"{folder}/in/{i}")
     stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(f"{folder}/in")
     edges = windows.closed_window_edges(stream, "u", "v", "ts", "1 day", "1 hour")
