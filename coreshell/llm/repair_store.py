@@ -35,7 +35,7 @@ BATCH_BYTES = 1 << 18
 #: Bytes of words in one of those texts, unless a word is longer.
 ROW_BYTES = 1 << 14
 #: Bytes of words and their ids that a worker remembers.
-REMEMBERED_BYTES = 48 << 20
+REMEMBERED_BYTES = 96 << 20
 SCHEMA = "part int, seq int, n_docs long, n_ids long, ids_before long, doc_ids binary, no_id binary, doc_lens binary, rules binary, rule_lens binary, low binary, high binary"
 #: Two white-space characters side by side (Unicode's property White_Space).
 SPACES = r"[\s\x0b\x{85}\p{Z}][\s\x0b\x{85}\p{Z}]"
