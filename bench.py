@@ -70,6 +70,7 @@ def main() -> None:
             began = time.perf_counter()
             run()
             took.append(time.perf_counter() - began)
+        print(took, file=sys.stderr, flush=True)
         return round(sum(took) / len(took), 3)
 
     def timed(name: str, run) -> float:
