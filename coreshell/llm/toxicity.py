@@ -16,11 +16,13 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coreshell.llm.shared import id_and_text, over_slices, plain, slices, strings
+from coreshell.llm.shared import id_and_text, memory, over_slices, plain, returned, slices, strings
 
 ENDS = r"[.!?\n]+"
 #: Lengths of the beginnings of words that are features.
 PREFIXES = range(3, 8)
+#: Documents of the fit whose features are counted at once.
+BLOCK_DOCUMENTS = 500
 _edges = regex.compile(r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$")
 
 
@@ -95,12 +97,16 @@ def fit(texts: list[str], labels: np.ndarray, row_weight: np.ndarray, s: Setting
     lists = np.r_[0, np.cumsum([len(x) for x in per_word])]
     flat = np.fromiter((f for x in per_word for f in x), np.int64, int(lists[-1]))
     in_docs = np.unique(doc[at] * len(names) + codes)
-    d, f = _spread(in_docs // len(names), in_docs % len(names), lists, flat)
-    once = np.unique(d * len(known) + f)
-    d, f = once // len(known), once % len(known)
-    df = np.bincount(f, minlength=len(known))
-    pos, neg = (np.bincount(f, weights=row_weight[d] * (labels[d] == y), minlength=len(known)) for y in (1, 0))
-    seen = np.bincount(f, weights=labels[d] == 1, minlength=len(known))
+    df, pos, neg, seen = (np.zeros(len(known)) for _ in range(4))
+    blocks = np.searchsorted(in_docs, np.arange(0, len(texts) + BLOCK_DOCUMENTS, BLOCK_DOCUMENTS) * len(names))
+    for some in np.split(in_docs, blocks[1:-1]):  # a document's words stand together, and have many times as many features
+        d, f = _spread(some // len(names), some % len(names), lists, flat)
+        once = np.unique(d * len(known) + f)
+        d, f = once // len(known), once % len(known)
+        df += np.bincount(f, minlength=len(known))
+        for of, y in ((pos, 1), (neg, 0)):
+            of += np.bincount(f, weights=row_weight[d] * (labels[d] == y), minlength=len(known))
+        seen += np.bincount(f, weights=labels[d] == 1, minlength=len(known))
     del in_docs, d, f, once
     all_pos, all_neg = (float((row_weight * (labels == y)).sum()) for y in (1, 0))
     a, b = (pos + 0.5) / (all_pos + 1), (neg + 0.5) / (all_neg + 1)
@@ -146,11 +152,14 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings | None = None) -> Mode
     rows = id_and_text(docs).where(F.length("text") <= s.most_chars).join(sample, "doc_id")
 
     def run(batches):
+        memory("")  # what operators before this one have left in the worker
         held = sorted((r["doc_id"], r["text"], r["y"]) for b in batches for r in b.to_pylist())
         y = np.array([r[2] for r in held], np.int64)
         share = {k: counts[k] / max(1, int((y == k).sum())) for k in counts}
         model = fit([r[1] for r in held], y, np.array([share[k] for k in y.tolist()], float), s)
         yield pa.record_batch([pa.array([None, *model.weights], pa.string()), pa.array([model.bias, *model.weights.values()])], names=["feature", "weight"])
+        del held, model
+        returned()
 
     fitted = {r["feature"]: r["weight"] for r in rows.repartition(1).mapInArrow(run, "feature string, weight double").collect()}
     return Model({k: w for k, w in fitted.items() if k is not None}, fitted.get(None, -30.0))
@@ -235,7 +244,9 @@ def without_toxic(docs: DataFrame, model: Model, threshold: float = 0.7) -> Data
     where = docs.columns.index("text")
 
     def run(batches):
+        memory("")
         for part in slices(batches, column=where):
             yield kernel(part)
+        returned()
 
     return docs.mapInArrow(run, docs.schema)
