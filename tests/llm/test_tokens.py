@@ -55,6 +55,18 @@ def test_encoder_equals_the_library(end, most):
         assert [got[i] for i in range(len(texts))] == want
 
 
+@pytest.mark.parametrize("bits", [0, 3])
+def test_words_of_one_hash_keep_their_ids(monkeypatch, bits):
+    """Known words are found by hash in an array that grows with them; words that share one must not get each other's ids."""
+    full = repair_store.hashes
+    monkeypatch.setattr(repair_store, "hashes", lambda words: full(words) & np.uint64((1 << bits) - 1))
+    encoder = repair_store.Encoder(public_tokenizers.path("byte_bpe_50k.json"))
+    texts = ["one two\nthree four,\nfive! one", "two three\nthree \u00e9t\u00e9 four, six", "\nseven one two"]
+    want = [encoder.tokenizer.encode(t, add_special_tokens=False).ids for t in texts]
+    for _ in range(2):
+        assert [ids.tolist() for _, _, ids, _ in encoder.encode(pa.array(texts), None, 1)] == want
+
+
 def pair_counts(symbols, barrier=0):
     """Occurrences of each pair, those that overlap another of the same pair left out."""
     out, last = Counter(), {}
