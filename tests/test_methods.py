@@ -2,6 +2,7 @@ import json
 import os
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -13,7 +14,7 @@ from coreshell.operators.frontier import activated, coreness_frontier
 from coreshell.operators.gates import gate
 from coreshell.operators.graph import Graph, canonical_edges, dense_ids, profile
 from coreshell.operators.mailbox import coreness_mailbox
-from coreshell.operators.peel import core_number_local, peel_bucket, peel_levels
+from coreshell.operators.peel import core_number_local, cores_beyond, library_cores, peel_bucket, peel_levels
 from coreshell.operators.sweep import coreness_sweep
 from coreshell.plans.choose import coreness
 from coreshell.plans.rounds import Store
@@ -254,6 +255,16 @@ def test_knn_in_blocks(spark):
     assert {tuple(r) for r in B.graph_knn(df, k=3, block_bytes=700).edges.collect()} == want
 
 
+def test_one_place_up_to_a_size_the_frontier_beyond(spark):
+    g = graph(spark, RANDOM)
+    want = peel_bucket(g).cores
+    for one_place in (peel_bucket, library_cores):
+        for arcs, plan in ((g.size()[1], "peel in one task" if one_place is peel_bucket else "sequential"), (g.size()[1] - 1, "frontier")):
+            result = cores_beyond(g, one_place, arcs)
+            assert result.stats["plan"].startswith(plan)
+            M.assert_same_cores(result.cores, want)
+
+
 def test_samples_and_sketches(spark):
     g = graph(spark, RANDOM)
     half = A.sampled(g, 0.5)
