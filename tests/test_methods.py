@@ -255,6 +255,17 @@ def test_knn_in_blocks(spark):
     assert {tuple(r) for r in B.graph_knn(df, k=3, block_bytes=700).edges.collect()} == want
 
 
+def test_knn_holds_some_likenesses_at_a_time(spark, monkeypatch):
+    """Two blocks' likenesses were one matrix: of 32 MB blocks of 64 numbers, 34 GB. Ties, a zero vector and blocks of several slices."""
+    vectors = [(i, [float(i % 7), float(i % 3) + 1, 1.0]) for i in range(40)] + [(50, [0.0, 0.0, 0.0])]
+    df = spark.createDataFrame(vectors, "vec_id long, embedding array<float>")
+    whole = {tuple(r) for r in B.graph_knn(df, k=3).edges.collect()}
+    monkeypatch.setattr(B, "LIKENESS_BYTES", 100)
+    assert {tuple(r) for r in B.graph_knn(df, k=3, block_bytes=400).edges.collect()} == whole
+    like, ids = np.array([[0.5, 0.9, 0.5, 0.5]]), np.array([9, 8, 7, 6])
+    assert [x.tolist() for x in B.nearest_of(like, ids, 2)] == [[0, 0], [1, 3]]
+
+
 def test_one_place_up_to_a_size_the_frontier_beyond(spark):
     g = graph(spark, RANDOM)
     want = peel_bucket(g).cores
