@@ -264,6 +264,9 @@ def test_knn_holds_some_likenesses_at_a_time(spark, monkeypatch):
     assert {tuple(r) for r in B.graph_knn(df, k=3, block_bytes=400).edges.collect()} == whole
     like, ids = np.array([[0.5, 0.9, 0.5, 0.5]]), np.array([9, 8, 7, 6])
     assert [x.tolist() for x in B.nearest_of(like, ids, 2)] == [[0, 0], [1, 3]]
+    many, ids = np.tile([0.5, 0.7, 0.5, 0.5], (3, 500)), np.arange(2000)[::-1].copy()
+    many[1, 7] = 0.9
+    assert [ids[x].tolist() for x in np.split(B.nearest_of(many, ids, 3)[1], 3)] == [[2, 6, 10], [1992, 2, 6], [2, 6, 10]]
 
 
 def test_one_place_up_to_a_size_the_frontier_beyond(spark):
