@@ -118,3 +118,27 @@ def test_lowest_first_evaluates_less():
 def test_empty(values):
     ids, core, _ = peel(*arcs(values))
     assert len(ids) == len(core) == 0
+
+
+@given(graphs, st.sampled_from(["all", "lower", "support", "counter"]))
+@settings(max_examples=200, deadline=None)
+def test_synchronous_rounds_of_a_whole_graph(edges, gate):
+    src, dst = arcs(edges)
+    once = src < dst
+    ids = np.unique(src)
+    b = Block.whole([(src[once], dst[once])], ids, np.array([(src == v).sum() for v in ids], np.int64))
+    est = {v: int((src == v).sum()) for v in ids.tolist()}
+    for _, changed, old, new, sent in b.rounds(np.arange(b.n), gate):
+        # every vertex is re-estimated: those that were not active would not have dropped
+        now = {v: max(h for h in range(est[v] + 1) if sum(est[u] >= h for u in dst[src == v].tolist()) >= h) for v in est}
+        assert {b.ids[i]: (o, n) for i, o, n in zip(changed.tolist(), old.tolist(), new.tolist(), strict=True)} == {v: (est[v], now[v]) for v in est if now[v] < est[v]}
+        assert sent["all"] == sum((src == v).sum() for v in est if now[v] < est[v])
+        est = now
+    assert est == brute_cores(edges)
+
+
+def test_one_task_takes_long_rounds_by_a_heap_without_a_call_a_vertex():
+    n = 100_000
+    ids, u = np.arange(n), np.arange(n - 1)
+    b = Block.whole([(u[:500], u[:500] + 1), (u[500:], u[500:] + 1)], ids, np.minimum(2, 1 + ((ids > 0) & (ids < n - 1))))
+    assert b.settle_by_heap(ids).max() == 1 and b.evals.sum() < 2.1 * n and b.nbrs.dtype == np.int32

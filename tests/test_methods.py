@@ -322,3 +322,15 @@ def test_dense_ids(spark):
     names = spark.createDataFrame([(x,) for x in ["b", "a", None, "c", "a", ""]], "raw string")
     rows = dense_ids(names).collect()
     assert sorted(r.id for r in rows) == [0, 1, 2, 3] and len({r.raw for r in rows}) == 4
+
+
+@pytest.mark.parametrize("limit", [0, 500_000])
+def test_rounds_that_one_task_goes_through_are_those_of_the_frontier(spark, limit):
+    g = graph(spark, RANDOM + [(200 + i, 201 + i) for i in range(40)])
+    want = coreness_frontier(g, tail="none", trace=True, keep_states=True, broadcast_vertices=limit)
+    short = coreness_frontier(g, tail="rounds", trace=True, keep_states=True, batch_size=30, broadcast_vertices=limit)
+    assert short.stats["tails"] == 1 and 2 < len(short.states) < len(want.states) and found(short) == found(want)
+    rows = lambda r: [tuple(x)[:6] for x in r.trace.orderBy("round").collect()]
+    assert rows(short) == rows(want) and short.stats["evals"] == want.stats["evals"]
+    for measure in (M.convergence_trace, M.error_histogram):
+        assert sorted(map(tuple, measure(short).collect())) == sorted(map(tuple, measure(want).collect()))
