@@ -186,3 +186,12 @@ def test_files(spark, odd, empty):
 
 def test_whole_fixture_is_documents(spark):
     assert documents(spark, ODD).count() == len(ODD)
+
+
+def test_the_grammar_finds_places_by_sorting_not_by_a_table(monkeypatch):
+    ids = np.random.default_rng(3).integers(1, 60, 4000)
+    want = repair_store.compress(ids, 100)
+    monkeypatch.setattr(np, "unique", None)
+    symbols, rules = repair_store.compress(ids, 100)
+    assert (symbols == want[0]).all() and (rules == want[1]).all()
+    assert (repair_store.spelled(symbols, rules, repair_store.lengths(rules, 100), 100) == ids).all()
