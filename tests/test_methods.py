@@ -334,3 +334,10 @@ def test_rounds_that_one_task_goes_through_are_those_of_the_frontier(spark, limi
     assert rows(short) == rows(want) and short.stats["evals"] == want.stats["evals"]
     for measure in (M.convergence_trace, M.error_histogram):
         assert sorted(map(tuple, measure(short).collect())) == sorted(map(tuple, measure(want).collect()))
+
+
+def test_blocks_become_one_when_few_vertices_are_awake(spark):
+    edges = [(i, i + 1) for i in range(24)]
+    g = graph(spark, edges)
+    apart, one = coreness_blocked(g, 3, "hash", merge_below=0), coreness_blocked(g, 3, "hash")
+    assert one.stats["merged"] and not apart.stats["merged"] and len(one.rounds) == 2 < len(apart.rounds) and found(one) == found(apart) == brute_cores(edges)
