@@ -1,7 +1,9 @@
 import pytest
 
+from coreshell.operators import builders as B
 from coreshell.operators import measures as M
 from coreshell.operators.frontier import coreness_frontier
+from coreshell.operators.graph import Graph
 from coreshell.plans.choose import coreness
 
 from .test_kernels import brute_cores
@@ -33,3 +35,34 @@ def test_packed_rounds_stop_and_go_on(spark):
     for share in (0.0, 1.0):
         rest = coreness(g, local_arcs=0, plateau_rounds=2, plateau_share=share, n_blocks=3, tail="none", packed_vertices=PACKED)
         assert found(rest) == brute_cores([(u, v) for u, v in EDGES if u != v])
+
+
+@pytest.mark.parametrize(("gate", "tail", "few"), [("counter", "rounds", 20), ("support", "heap", 0), ("support", "fifo", 20)])
+def test_one_task_goes_on_with_the_same_rounds(spark, monkeypatch, gate, tail, few):
+    """Passes until fewer than ``few`` vertices drop, then one task, whose rounds, messages and drops are those of the frontier."""
+    monkeypatch.setattr("coreshell.operators.frontier.TASK_VERTICES", few)
+    options = {"gate": gate, "tail": tail, "trace": True, "keep_states": True, "batch_size": 4}
+    g = graph(spark, EDGES + [(200 + i, 201 + i) for i in range(30)])
+    want, packed = coreness_frontier(g, **options), coreness_frontier(g, packed_vertices=PACKED, **options)
+    rows = lambda r: [tuple(x)[:6] for x in r.trace.orderBy("round").collect()]
+    assert found(packed) == found(want) and rows(packed) == rows(want) and len(rows(want)) > 4
+    assert packed.stats["tails"] == want.stats["tails"] == 1 and (tail != "rounds" or packed.stats["evals"] == want.stats["evals"])
+    assert sorted(map(tuple, M.convergence_trace(packed).collect())) == sorted(map(tuple, M.convergence_trace(want).collect()))
+
+
+@pytest.mark.parametrize("shift", [0, -(1 << 62)])
+def test_a_counted_graph_is_packed_from_its_pairs(spark, monkeypatch, shift):
+    """No table of arcs is written for it; repeated rows, loops and nulls as ever."""
+    monkeypatch.setattr("coreshell.operators.packed.ARCS_A_BLOCK", 20)
+    rows = [(i % 7, i, (i * i) % 31 * (1 << 57 if shift else 1) + shift) for i in range(120)] + [(8, i, v) for i, v in enumerate([1, 2] * 150 + [2, None, 1, 2])]
+    events = spark.createDataFrame(rows, "k long, t long, v long")
+    g = B.graph_sequence(events, "v", (["k"], ["t"]))
+    edges = [(r.u, r.v) for r in g.edges.collect()]
+    assert g.about[1] == len(rows) and abs(g.about[0] - len({v for *_, v in rows} - {None})) <= 2
+    result = coreness_frontier(g, packed_vertices=PACKED, batch_size=2)
+    assert "arcs" not in g._kept and found(result) == brute_cores(edges)
+    assert g.size() == (len({x for e in edges for x in e}), 2 * len(edges)) and g._kept["packed"].blocks.count() > 1
+    want = Graph(g.edges)
+    assert sorted(map(tuple, g.degrees().collect())) == sorted(map(tuple, want.degrees().collect()))
+    assert found(coreness_frontier(g, max_rounds=1, tail="none", packed_vertices=PACKED)) == found(coreness_frontier(want, max_rounds=1, tail="none"))
+    assert g.arcs().count() == 2 * len(edges)
