@@ -1,9 +1,13 @@
+import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from coreshell.operators import builders as B
 from coreshell.operators import measures as M
+from coreshell.operators.blocked import assign_blocks, coreness_blocked, packed_blocks
 from coreshell.operators.frontier import coreness_frontier
 from coreshell.operators.graph import Graph
+from coreshell.operators.packed import packed
 from coreshell.plans.choose import coreness
 
 from .test_kernels import brute_cores
@@ -66,3 +70,29 @@ def test_a_counted_graph_is_packed_from_its_pairs(spark, monkeypatch, shift):
     assert sorted(map(tuple, g.degrees().collect())) == sorted(map(tuple, want.degrees().collect()))
     assert found(coreness_frontier(g, max_rounds=1, tail="none", packed_vertices=PACKED)) == found(coreness_frontier(want, max_rounds=1, tail="none"))
     assert g.arcs().count() == 2 * len(edges)
+
+
+@pytest.mark.parametrize(("partitioner", "order", "merge"), [("range", "priority", 0), ("hash", "heap", 0), ("chunk", "fifo", 0), ("range", "priority", 1000)])
+def test_packed_blocks_go_the_rounds_of_blocks(spark, monkeypatch, partitioner, order, merge):
+    monkeypatch.setattr("coreshell.operators.packed.ARCS_A_BLOCK", 50)
+    edges = EDGES + [(200 + i, 201 + i) for i in range(30)]
+    options = {"n_blocks": 9, "partitioner": partitioner, "order": order, "merge_below": merge}
+    g = graph(spark, edges)
+    want, got = coreness_blocked(g, **options), coreness_blocked(g, **options, packed_vertices=PACKED)
+    assert "packed" in g._kept and found(got) == found(want) == brute_cores([(u, v) for u, v in edges if u != v])
+    counts = lambda r: [(x["n_active"], x["n_changed"]) for x in r.rounds]
+    assert counts(got) == counts(want) and len(counts(got)) > 1 and got.stats["merged"] == want.stats["merged"] == bool(merge)
+    place = assign_blocks(g, 9, partitioner).orderBy("id").toArrow()["block"].to_pylist()
+    assert packed_blocks(g, packed(g), 9, partitioner).tolist() == place
+
+
+@pytest.mark.parametrize("vertices", [(1000, 2000), PACKED])
+def test_blocks_too_large_for_a_task_become_more(spark, vertices):
+    """The plan asks for one block; a task takes 60 arcs of some 250."""
+    g = graph(spark, EDGES)
+    first = coreness_frontier(g, max_rounds=1, tail="none")
+    rest = coreness_blocked(g, 1, "range", start=first.cores.withColumnRenamed("coreness", "est"), active=first.stats["active"], task_arcs=60, packed_vertices=vertices)
+    assert found(rest) == brute_cores([(u, v) for u, v in EDGES if u != v])
+    n_blocks = int(rest.stats["plan"].split("n_blocks=")[1].split()[0])
+    sizes = assign_blocks(g, n_blocks, "range").join(g.degrees(), "id").groupBy("block").agg(F.sum("degree")).toArrow()[1].to_numpy()
+    assert n_blocks > 1 and np.sum(sizes) == g.size()[1] and np.max(sizes) <= 60
