@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from coreshell.operators import analysis as A
 from coreshell.operators import builders as B
 from coreshell.operators import measures as M
 from coreshell.operators.blocked import assign_blocks, coreness_blocked, packed_blocks
@@ -96,3 +97,18 @@ def test_blocks_too_large_for_a_task_become_more(spark, vertices):
     n_blocks = int(rest.stats["plan"].split("n_blocks=")[1].split()[0])
     sizes = assign_blocks(g, n_blocks, "range").join(g.degrees(), "id").groupBy("block").agg(F.sum("degree")).toArrow()[1].to_numpy()
     assert n_blocks > 1 and np.sum(sizes) == g.size()[1] and np.max(sizes) <= 60
+
+
+def test_layers_and_certificate_on_packed_arcs(spark, monkeypatch):
+    """More arcs than one task takes unpacked: peeled in one task all the same, and certified where the lists lie."""
+    monkeypatch.setattr("coreshell.operators.packed.ARCS_A_BLOCK", 50)
+    g, table = graph(spark, EDGES), graph(spark, EDGES)
+    want = A.core_layers(table, local=False)
+    monkeypatch.setattr("coreshell.operators.peel.LOCAL_ARCS", 3)
+    monkeypatch.setattr("coreshell.operators.analysis.peel_levels", None)
+    layers = A.core_layers(g, local_arcs=3, packed_vertices=PACKED)
+    assert "packed" in g._kept and sorted(map(tuple, layers.collect())) == sorted(map(tuple, want.collect()))
+    cores, mixed = layers.select("id", "coreness"), F.pmod("id", F.lit(4)) - 1
+    for c, p in ((cores, layers), (cores.withColumn("coreness", F.col("coreness") + mixed), layers), (cores, layers.withColumn("layer", F.lit(1))), (cores.where("id > 5"), layers)):
+        assert tuple(M.certify(g, c, p).first()) == tuple(M.certify(table, c, p).first())
+    assert tuple(M.certify(g, cores, layers).first()) == (0, 0) and min(M.certify(g, cores.withColumn("coreness", F.col("coreness") + mixed), layers).first()) > 0
