@@ -1,3 +1,5 @@
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -112,3 +114,15 @@ def test_layers_and_certificate_on_packed_arcs(spark, monkeypatch):
     for c, p in ((cores, layers), (cores.withColumn("coreness", F.col("coreness") + mixed), layers), (cores, layers.withColumn("layer", F.lit(1))), (cores.where("id > 5"), layers)):
         assert tuple(M.certify(g, c, p).first()) == tuple(M.certify(table, c, p).first())
     assert tuple(M.certify(g, cores, layers).first()) == (0, 0) and min(M.certify(g, cores.withColumn("coreness", F.col("coreness") + mixed), layers).first()) > 0
+
+
+@pytest.mark.parametrize("few", [0, 20])
+def test_distances_of_packed_rounds_need_no_join(spark, monkeypatch, few):
+    """Counted by place, wherever the rounds were gone through; as many rows of drops and reports as ever, in few batches from one task."""
+    monkeypatch.setattr("coreshell.operators.frontier.TASK_VERTICES", few)
+    g = graph(spark, EDGES + [(200 + i, 201 + i) for i in range(30)])
+    result = coreness_frontier(g, tail="rounds", keep_states=True, batch_size=4, packed_vertices=PACKED)
+    rows = lambda r: sorted(map(tuple, M.distances(r).collect()))
+    want = rows(replace(result, placed=None))
+    assert rows(replace(result, cores=spark.range(0))) == want == rows(coreness_frontier(g, tail="rounds", keep_states=True, batch_size=4))
+    assert sum(d.count() for d in result.drops) == sum(r["n_changed"] for r in result.rounds) and len({r for r, *_ in want}) > 10
